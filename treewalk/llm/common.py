@@ -9,6 +9,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
@@ -67,3 +68,22 @@ def bites(batches: Iterator[pa.RecordBatch], text_col: str, limit: int = 2_000_0
                 piece = b.slice(lo, i + 1 - lo)
                 yield piece, [t or "" for t in piece.column(b.schema.get_field_index(text_col)).to_pylist()]
                 lo, size = i + 1, 0
+
+
+def numbered(docs: DataFrame) -> tuple[DataFrame, DataFrame | None]:
+    """``(row, text)`` with a key of its own for each row, and the map ``(row, doc_id)``.
+
+    Where ``doc_id`` is a key already it is used itself and the map is None; null or repeated
+    ids get numbers, fixed by writing them.
+    """
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    n, distinct = rows.select("doc_id").agg(F.count(F.lit(1)), F.count_distinct("doc_id")).first()
+    if n == distinct:
+        return rows.withColumnRenamed("doc_id", "row"), None
+    fixed = cut(rows.withColumn("row", F.monotonically_increasing_id()), "numbered")
+    return fixed.select("row", "text"), fixed.select("row", "doc_id")
+
+
+def renamed(done: DataFrame, names: DataFrame | None) -> DataFrame:
+    """Undo ``numbered``: the result with ``doc_id`` in place of ``row``."""
+    return done.withColumnRenamed("row", "doc_id") if names is None else names.join(done, "row").drop("row")
