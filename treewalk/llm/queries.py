@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chunk_bpe, decontaminate, language, quality, simhash, suffix_dedup, token_file, toxicity
+from . import chunk_bpe, decontaminate, language, quality, simhash, suffix_dedup, token_file, toxicity, vector_graph
 from .common import table
 
 
@@ -45,6 +45,10 @@ def op8_toxicity_bigru(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, toxicity.fit(docs, table(spark, sf_dir, "labels", "doc_id", "toxic")))
 
 
+def op9_vector_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return vector_graph.run(table(spark, sf_dir, "embeddings", "vec_id", "embedding"))
+
+
 def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_file.run(spark, table(spark, sf_dir, "documents", "doc_id", "text"), _vocabulary("byte_bpe_50k.json"))
 
