@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import chunk_bpe, decontaminate, language, quality, simhash, suffix_dedup, token_file, toxicity, vector_graph
+from . import chunk_bpe, decontaminate, language, quality, revisit, simhash, suffix_dedup, token_file, toxicity, vector_graph
 from .common import table
 
 
@@ -19,6 +19,10 @@ def op1_quality_mil(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score(docs, quality.fit(docs, table(spark, sf_dir, "labels", "doc_id", "quality")))
 
 
+def op2_warc_revisit(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return revisit.run(table(spark, sf_dir, "pages", "page_id", "url", "html"))
+
+
 def op3_chunk_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chunk_bpe.digests(table(spark, sf_dir, "documents", "doc_id", "text"), _vocabulary("word_bpe_49k.json"))
 
@@ -57,4 +61,4 @@ def queries() -> dict:
     return {k: f for k, f in globals().items() if k.startswith("op") and k[2].isdigit()}
 
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op2_warc_revisit": revisit.ORACLE}

@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bites, cut, parts
+from .common import bites, cut, numbered, parts
 from .components import classes, forest
 
 _LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
@@ -161,3 +161,14 @@ def group(docs: DataFrame, words: int = 3, limit: int = 2, seed: int = 42) -> Da
     labelled = distinct.join(found.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     named = labelled.join(labelled.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("fp", "component_id")
     return fps.join(named, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
+def representatives(docs: DataFrame, words: int = 3, limit: int = 2, seed: int = 42) -> DataFrame:
+    """Rows of ``docs``, with all their columns: the first document of each group by ``doc_id``."""
+    rows, names = numbered(docs)
+    if names is None:
+        kept = group(docs, words, limit, seed).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id")
+        return docs.join(kept.withColumnRenamed("doc_id", "_kept"), docs["doc_id"] == F.col("_kept"), "left_semi")
+    fixed = cut(docs.withColumn("_row", F.monotonically_increasing_id()), "simhash-rows")
+    kept = group(fixed.select(F.col("_row").alias("doc_id"), "text"), words, limit, seed).where("doc_id = component_id").select(F.col("doc_id").alias("_row"))
+    return fixed.join(kept, "_row", "left_semi").drop("_row")

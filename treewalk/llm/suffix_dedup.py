@@ -311,3 +311,17 @@ def texts(docs: DataFrame, hot: int = HOT) -> DataFrame:
     rows, names = numbered(docs)
     one = lambda raw, runs, kept: (kept.decode(errors="ignore"), len(raw) - len(kept))
     return renamed(_removed(rows, one, "row long, text string, n_removed long", hot), names)
+
+
+def clean(docs: DataFrame, hot: int = HOT) -> DataFrame:
+    """Rows of ``docs`` with their columns, the text without its repeated bytes and, where there is
+    such a column, ``n_chars`` counted again."""
+    fixed = docs
+    unique = numbered(docs)[1] is None
+    if not unique:
+        fixed = cut(docs.withColumn("_row", F.monotonically_increasing_id()), "suffix-rows")
+    key = "doc_id" if unique else "_row"
+    left = texts(fixed.select(F.col(key).alias("doc_id"), "text"), hot).select(F.col("doc_id").alias("_key"), F.col("text").alias("_text"))
+    joined = fixed.drop("text").join(left, F.col(key) == F.col("_key"))
+    new = {"text": F.col("_text"), "n_chars": F.length("_text").cast("long")}
+    return joined.select(*[new[c].alias(c) if c in new else F.col(c) for c in docs.columns])

@@ -223,3 +223,15 @@ def score(docs: DataFrame, net: Net | None, threshold: float = 0.5) -> DataFrame
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     out = rows.mapInArrow(kernel, "doc_id long, score double")
     return out.select("doc_id", F.coalesce(remainder(5) == 0, F.lit(False)).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
+
+
+def keep(docs: DataFrame, net: Net | None, threshold: float = 0.5) -> DataFrame:
+    """Rows of ``docs``, with all their columns, that score below ``threshold``."""
+    shared = docs.sparkSession.sparkContext.broadcast(net)
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for piece, texts in bites(batches, "text", 1_000_000):
+            ok = np.ones(len(texts), bool) if shared.value is None else shared.value.score(texts) < threshold
+            yield piece.filter(pa.array(ok))
+
+    return docs.mapInArrow(kernel, docs.schema)
