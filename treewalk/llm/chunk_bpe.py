@@ -5,7 +5,8 @@
 2. Chunks meet by content hash and each distinct chunk is encoded once.  Within an input slice
    equal chunks are one row already; a chunk that a slice holds many times is dealt out over
    ``SPREAD`` places, so that a passage found in a third of all documents is no single task's.
-3. The chunks of a document come together in order and every join is repaired: the text from
+   A document of one chunk is finished here, once for all its copies.
+3. The chunks of any other document come together in order and every join is repaired: the text from
    the last white space before the join to the first one after it is encoded again, over as
    many chunks as needed, until the tokens on both sides stand at white space, where the
    encoding of a chunk and of the whole text agree exactly.
@@ -24,14 +25,15 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import zstandard
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
-from .common import bites, parts
+from .common import bites, numbered, parts, renamed
 from .word_memo import encoder
 
-WINDOW, MEAN, LEAST, MOST, SPREAD, MANY = 32, 2048, 256, 65536, 64, 4
+MEAN, LEAST, MOST, SPREAD, MANY = 8192, 512, 65536, 64, 4
+ALONE = -1  # place of the only chunk of a document
 _GAP = re.compile(r"[ \t\n\r]")
 
 
@@ -59,18 +61,18 @@ def _chunks(docs: DataFrame) -> DataFrame:
     """One row for each distinct chunk of an input slice: its key, text and places."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        squeeze = zstandard.ZstdCompressor(level=1)
+        squeeze = zstandard.ZstdCompressor(level=3)
         for piece, texts in bites(batches, "text", 8_000_000):
             found: dict[bytes, list] = {}
             for row, text in zip(piece.column(0).to_pylist(), texts):
-                lo = 0
-                for seq, hi in enumerate(cuts(text)):
+                lo, ends = 0, cuts(text)
+                for seq, hi in enumerate(ends):
                     part = text[lo:hi].encode()
                     key = hashlib.blake2b(part, digest_size=16).digest()
                     if key not in found:
                         found[key] = [part, [], []]
                     found[key][1].append(row)
-                    found[key][2].append(seq)
+                    found[key][2].append(seq if len(ends) > 1 else ALONE)
                     lo = hi
             keys = list(found)
             places = [found[k] for k in keys]
@@ -81,11 +83,14 @@ def _chunks(docs: DataFrame) -> DataFrame:
     return docs.mapInArrow(kernel, "key binary, salt int, text binary, rows array<long>, seqs array<long>")
 
 
-def _encoded(chunks: DataFrame, tokenizer: str, kind: str) -> DataFrame:
-    """Ids of each distinct chunk, at each of its places."""
+def _encoded(chunks: DataFrame, tokenizer: str, kind: str, finish, schema: str) -> DataFrame:
+    """Ids of each distinct chunk at each of its places, or the finished result of a document
+    that has no other chunk."""
+    done_names, done_kinds = _fields(schema)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc, squeeze, loose = encoder(tokenizer, kind), zstandard.ZstdCompressor(level=1), zstandard.ZstdDecompressor()
+        enc, squeeze, loose = encoder(tokenizer, kind), zstandard.ZstdCompressor(level=3), zstandard.ZstdDecompressor()
+        finisher, wide = finish(enc), enc.tok.get_vocab_size() > 65536
         previous = None
         for b in _slices(batches, 512):
             keys, zs, rows, seqs = (b.column(i).to_pylist() for i in (0, 2, 3, 4))
@@ -103,18 +108,24 @@ def _encoded(chunks: DataFrame, tokenizer: str, kind: str) -> DataFrame:
             ids, lens = enc.encode(texts + [t[:h] for t, h in zip(texts, heads)] + [t[g + 1 :] for t, g in zip(texts, gaps)])
             n = len(texts)
             whole = np.split(ids, np.cumsum(lens)[:-1])[:n]
-            made = [(k, squeeze.compress(w.astype("<u4").tobytes()), t[:h], int(a), t[g + 1 :] if g >= 0 else None, int(z)) for (k, t), w, h, g, a, z in zip(fresh, whole, heads, gaps, lens[n : 2 * n], lens[2 * n :])]
+            made = []
+            for (k, t), w, h, g, a, z in zip(fresh, whole, heads, gaps, lens[n : 2 * n], lens[2 * n :]):
+                made.append([k, w, None, (squeeze.compress(w.astype("<u4" if wide else "<u2").tobytes()), t[:h], int(a), t[g + 1 :] if g >= 0 else None, int(z))])
             out = []
             for i, r, s in zip(of, rows, seqs):
-                k, *rest = made[i] if i >= 0 else previous
-                out += [(x, y, *rest) for x, y in zip(r, s)]
+                it = made[i] if i >= 0 else previous
+                for x, y in zip(r, s):
+                    if y == ALONE:
+                        it[2] = it[2] or finisher(it[1], 0, 0)
+                        out.append((x, y, None, None, None, None, None, *it[2]))
+                    else:
+                        out.append((x, y, *it[3], *[None] * len(done_names)))
             previous = made[-1] if made else previous
-            cols = list(zip(*out))
-            kinds = [pa.int64(), pa.int64(), pa.binary(), pa.string(), pa.int64(), pa.string(), pa.int64()]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], names=["row", "seq", "ids", "head", "n_head", "tail", "n_tail"])
+            kinds = [pa.int64(), pa.int64(), pa.binary(), pa.string(), pa.int64(), pa.string(), pa.int64(), *done_kinds]
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], names=["row", "seq", "ids", "head", "n_head", "tail", "n_tail", *done_names])
 
     n = parts(chunks.sparkSession)
-    return chunks.repartition(n, "key", "salt").sortWithinPartitions("key", "salt").mapInArrow(kernel, "row long, seq long, ids binary, head string, n_head long, tail string, n_tail long")
+    return chunks.repartition(n, "key", "salt").sortWithinPartitions("key", "salt").mapInArrow(kernel, "row long, seq long, ids binary, head string, n_head long, tail string, n_tail long, " + schema)
 
 
 def _slices(batches, size):
@@ -158,13 +169,11 @@ def _join(enc, pieces: list[list[tuple]]) -> list[tuple[np.ndarray, int, int]]:
 
 
 def _assembled(pieces: DataFrame, tokenizer: str, kind: str, finish, schema: str) -> DataFrame:
-    names = [x.split()[0] for x in schema.split(", ")]
-    kinds = {"long": pa.int64(), "string": pa.string(), "array<int>": pa.list_(pa.int32())}
-    kinds = [kinds[x.split()[1]] for x in schema.split(", ")]
+    names, kinds = _fields("row long, " + schema)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc, loose = encoder(tokenizer, kind), zstandard.ZstdDecompressor()
-        finisher = finish(enc)
+        finisher, size = finish(enc), "<u4" if enc.tok.get_vocab_size() > 65536 else "<u2"
         docs, rows, held = [], [], 0
 
         def flush(keep_last: bool):
@@ -177,11 +186,15 @@ def _assembled(pieces: DataFrame, tokenizer: str, kind: str, finish, schema: str
             return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], names=names) if out else None
 
         for b in _slices(batches, 256):
-            for row, _, ids, head, n_head, tail, n_tail in zip(*(c.to_pylist() for c in b.columns)):
+            alone = pc.equal(b.column(1), ALONE)
+            done = b.filter(alone)
+            if done.num_rows:
+                yield pa.RecordBatch.from_arrays([done.column(0), *done.columns[7:]], names=names)
+            for row, _, ids, head, n_head, tail, n_tail in zip(*(c.to_pylist() for c in b.filter(pc.invert(alone)).columns[:7])):
                 if not rows or rows[-1] != row:
                     rows.append(row)
                     docs.append([])
-                got = np.frombuffer(loose.decompress(ids), "<u4")
+                got = np.frombuffer(loose.decompress(ids), size)
                 docs[-1].append((got, head, n_head, tail, n_tail))
                 held += len(got)
             if held > 1_000_000 and len(docs) > 1 and (made := flush(True)) is not None:
@@ -190,29 +203,18 @@ def _assembled(pieces: DataFrame, tokenizer: str, kind: str, finish, schema: str
             yield made
 
     n = parts(pieces.sparkSession)
-    return pieces.repartition(n, "row").sortWithinPartitions("row", "seq").mapInArrow(kernel, schema)
+    return pieces.repartition(n, "row").sortWithinPartitions("row", "seq").mapInArrow(kernel, "row long, " + schema)
 
 
-def _numbered(docs: DataFrame) -> tuple[DataFrame, bool]:
-    """Rows keyed by ``doc_id`` where it is a key; otherwise by a number beside it."""
-    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    n, distinct = keyed.select("doc_id").agg(F.count(F.lit(1)), F.count_distinct("doc_id")).first()
-    return keyed, n == distinct
+def _fields(schema: str) -> tuple[list[str], list[pa.DataType]]:
+    kinds = {"long": pa.int64(), "string": pa.string(), "array<int>": pa.list_(pa.int32())}
+    pairs = [x.split() for x in schema.split(", ")]
+    return [p[0] for p in pairs], [kinds[p[1]] for p in pairs]
 
 
 def _run(docs: DataFrame, tokenizer: str, kind: str, finish, schema: str) -> DataFrame:
-    keyed, unique = _numbered(docs)
-    if unique:
-        rows = keyed.withColumnRenamed("doc_id", "row")
-    else:  # null or repeated ids: give every row a number, fixed by writing it
-        from .common import cut
-
-        numbered = cut(keyed.withColumn("row", F.monotonically_increasing_id()), "numbered")
-        rows = numbered.select("row", "text")
-    done = _assembled(_encoded(_chunks(rows), tokenizer, kind), tokenizer, kind, finish, "row long, " + schema)
-    if unique:
-        return done.withColumnRenamed("row", "doc_id")
-    return numbered.select("row", "doc_id").join(done, "row").drop("row")
+    rows, names = numbered(docs)
+    return renamed(_assembled(_encoded(_chunks(rows), tokenizer, kind, finish, schema), tokenizer, kind, finish, schema), names)
 
 
 def encode(docs: DataFrame, tokenizer: str, kind: str = "word") -> DataFrame:
