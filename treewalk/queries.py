@@ -1,8 +1,18 @@
 """Registry of the engine's queries and their SQL oracles."""
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+from __future__ import annotations
 
+from pyspark.sql import DataFrame, SparkSession
 
-def entry(spark, sf_dir):
-    raise NotImplementedError
+from .plans import methods
+
+QUERIES: dict = dict(methods.QUERIES)
+ORACLES: dict[str, str] = dict(methods.ORACLES)
+
+
+def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A random spanning tree of the trade graph, by walks doubled with balanced meeting places."""
+    from .operators import sample
+    from .sources.graphs import graph
+
+    return sample.by_doubling(graph(spark, sf_dir, "nation_trade"), 0, seed=42)
