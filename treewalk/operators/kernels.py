@@ -234,10 +234,12 @@ def phased(w: np.ndarray, r: np.random.Generator, eps: float = 0.01, place: str
         keep = sorted({end} | (set(range(n)) - seen))
         m = w if len(keep) == n else derived.schur_dense(w, keep)
         p = m / m.sum(1, keepdims=True)
-        ladder = _ladder(p, levels, bits)
+        ladder = _ladder(p, levels, bits) if len(keep) > 2 else []
         here, want, walk = keep.index(end), min(goal, len(keep)), []
-        while True:
-            part = topdown_walk(ladder, here, want, r, place) if not walk else topdown_walk(ladder, walk[-1], 10**9, r, place)
+        if len(keep) == 2:  # the only step there is; even powers would never leave the start
+            walk = [here, 1 - here]
+        while len(set(walk)) < want:
+            part = topdown_walk(ladder, walk[-1] if walk else here, want, r, place)
             part = [v for _, v in part]
             walk = part if not walk else walk + part[1:]
             if len(set(walk)) >= want or not exact:

@@ -92,9 +92,11 @@ def phased(g: Graph, start: int, eps: float = 0.01, seed: int = 42, rho: str = "
             shortcut, squarings = derived.shortcut_absorbing(a, active, bits, delta)
             shortcut = cut(shortcut, "shortcut")
             t = derived.schur_transition(shortcut, derived.enter_matrix(arcs, active, bits), active, bits)
-        ladder = linalg.power_ladder(t, size.bit_length() - 1, bits)
         starts = spark.createDataFrame([(0, end)], "sample_id long, vertex long")
-        walk = topdown.full_walk(ladder, starts, seed + phase, min(goal, k))
+        if k == 2:  # one step is all there is; even powers would never leave the start
+            walk = cut(doubling.stepwise(t.withColumnRenamed("x", "w"), starts, 1, seed + phase), "walk")
+        else:
+            walk = topdown.full_walk(linalg.power_ladder(t, size.bit_length() - 1, bits), starts, seed + phase, min(goal, k))
         got = walk.agg(F.count_distinct("vertex").alias("n"), F.max("pos").alias("last"), F.max_by("vertex", "pos").alias("end")).first()
         facts.append({"phase": phase, "active": k, "distinct": got.n, "length": got.last, "squarings": squarings, "levels": size.bit_length() - 1})
         if got.n < min(goal, k) and on_short == "arbitrary":

@@ -4,10 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .plans import methods
+from .plans import methods, relops
 
-QUERIES: dict = dict(methods.QUERIES)
-ORACLES: dict[str, str] = dict(methods.ORACLES)
+QUERIES: dict = methods.QUERIES | relops.QUERIES
+ORACLES: dict[str, str] = methods.ORACLES | relops.ORACLES
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
