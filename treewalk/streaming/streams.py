@@ -9,6 +9,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from .windows import marked
+
 
 def read(spark: SparkSession, folder: str, schema, files_per_trigger: int = 1) -> DataFrame:
     """Parquet files of a folder, as they come."""
@@ -16,7 +18,7 @@ def read(spark: SparkSession, folder: str, schema, files_per_trigger: int = 1) -
 
 
 def dedup(stream: DataFrame, keys: list[str], watermark: str = "10 minutes") -> DataFrame:
-    return stream.withWatermark("ts", watermark).dropDuplicatesWithinWatermark(keys)
+    return marked(stream, watermark).dropDuplicatesWithinWatermark(keys)
 
 
 def enrich(stream: DataFrame, static: DataFrame, key: str) -> DataFrame:
@@ -26,8 +28,8 @@ def enrich(stream: DataFrame, static: DataFrame, key: str) -> DataFrame:
 
 def cooc(a: DataFrame, b: DataFrame, within: str = "10 minutes", watermark: str = "10 minutes") -> DataFrame:
     """Stream-stream join: events of two users in one bucket of time and within the bound."""
-    left = a.withWatermark("ts", watermark).select(F.col("ts").alias("ts1"), F.col("user_id").alias("u"), F.col("event_type"))
-    right = b.withWatermark("ts", watermark).select(F.col("ts").alias("ts2"), F.col("user_id").alias("v"), F.col("event_type").alias("type2"))
+    left = marked(a, watermark).select(F.col("ts").alias("ts1"), F.col("user_id").alias("u"), F.col("event_type"))
+    right = marked(b, watermark).select(F.col("ts").alias("ts2"), F.col("user_id").alias("v"), F.col("event_type").alias("type2"))
     return left.join(right, F.expr(f"event_type = type2 AND u < v AND ts2 BETWEEN ts1 - INTERVAL {within} AND ts1 + INTERVAL {within}"))
 
 

@@ -6,8 +6,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
+def marked(df: DataFrame, watermark: str) -> DataFrame:
+    """Watermark on ``ts``, which must be a timestamp with zone for it."""
+    return df.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", watermark)
+
+
 def _late(df: DataFrame, watermark: str | None) -> DataFrame:
-    return df.withWatermark("ts", watermark) if watermark else df
+    return marked(df, watermark) if watermark else df
 
 
 def tumbling(events: DataFrame, size: str, watermark: str | None = None) -> DataFrame:
