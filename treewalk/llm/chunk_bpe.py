@@ -122,10 +122,10 @@ def _encoded(chunks: DataFrame, tokenizer: str, kind: str, finish, schema: str)
                         out.append((x, y, *it[3], *[None] * len(done_names)))
             previous = made[-1] if made else previous
             kinds = [pa.int64(), pa.int64(), pa.binary(), pa.string(), pa.int64(), pa.string(), pa.int64(), *done_kinds]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], names=["row", "seq", "ids", "head", "n_head", "tail", "n_tail", *done_names])
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out), kinds)], names=["row", "seq", "_ids", "_head", "_n_head", "_tail", "_n_tail", *done_names])
 
     n = parts(chunks.sparkSession)
-    return chunks.repartition(n, "key", "salt").sortWithinPartitions("key", "salt").mapInArrow(kernel, "row long, seq long, ids binary, head string, n_head long, tail string, n_tail long, " + schema)
+    return chunks.repartition(n, "key", "salt").sortWithinPartitions("key", "salt").mapInArrow(kernel, "row long, seq long, _ids binary, _head string, _n_head long, _tail string, _n_tail long, " + schema)
 
 
 def _slices(batches, size):
