@@ -1,8 +1,8 @@
 """Benchmark decontamination with spaced seeds, in DataFrame functions only.
 
 Words are lower-cased runs of letters and digits.  A spaced seed is a mask over ``SPAN`` words
-that ignores some positions; a masked window is hashed from the words at its kept positions, so a
-hit survives any change at the ignored ones.  Windows of the benchmark and of the documents meet
+that keeps some pairs of neighbours and ignores the other positions; a masked window is hashed from
+its kept words, so a hit survives any change at the ignored ones.  Windows of the benchmark and of the documents meet
 by seed and hash.  A hit fixes an alignment (document, item, offset); every alignment is then
 verified on the words themselves: over each stretch of ``SPAN`` aligned words around the hit, at
 least ``AGREE`` words must agree at their places.  Items shorter than ``SPAN`` words are compared
@@ -22,9 +22,10 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Fixed parameters: the span of a seed and its kept positions (1 kept, 0 ignored).
+#: Fixed parameters: the span of a seed, and for each mask the places at which it keeps two words
+#: (all others are ignored).
 SPAN, AGREE, SMALL = 13, 11, 200_000
-MASKS = ("1101100110111", "1110110101101", "1011011011011")
+MASKS = ((0, 3, 7, 11), (1, 5, 8, 11), (0, 4, 6, 9))
 
 
 def words(text: Column) -> Column:
@@ -37,32 +38,43 @@ def _hashes(tokens: Column) -> Column:
     return F.transform(tokens, lambda w: F.xxhash64(w))
 
 
-def _window(h: Column, seed: int, mask: str):
-    kept = [j for j, c in enumerate(mask) if c == "1"]
-    return lambda i: F.struct(i.alias("at"), F.lit(seed).alias("seed"), F.xxhash64(*[F.get(h, i + j) for j in kept]).alias("hash"))
+def _pairs(h: Column) -> Column:
+    """Hash of each word with the next one (the last: with none)."""
+    return F.zip_with(h, F.slice(h, F.lit(2), F.size(h)), lambda a, b: F.xxhash64(a, b))
 
 
-def _seeds(h: Column, short: bool) -> Column:
-    """Structs (at, seed, hash) for every window of the hashed words ``h``; with ``short`` also
-    one for a text below the span (all its words, seed = minus its length)."""
-    n = F.size(h)
-    starts = F.when(n >= SPAN, F.sequence(F.lit(0), n - SPAN)).otherwise(F.array().cast("array<int>"))
-    kinds = [F.transform(starts, _window(h, k, mask)) for k, mask in enumerate(MASKS)]
-    found = F.concat(*kinds)
-    if short:
-        whole = F.array(F.struct(F.lit(0).alias("at"), (-n).alias("seed"), F.xxhash64(F.concat_ws(",", F.transform(h, lambda x: x.cast("string")))).alias("hash")))
-        found = F.when((n > 0) & (n < SPAN), whole).otherwise(found)
-    return found
+def _window(g: Column, seed: int, mask: tuple[int, ...]):
+    return lambda i: F.xxhash64(F.lit(seed), *[F.get(g, i + j) for j in mask])
+
+
+def _whole(h: Column, k: int):
+    """Hash of ``k`` words in a row, for items of ``k`` words (seed -k)."""
+    return lambda i: F.xxhash64(F.lit(-k), *[F.get(h, i + j) for j in range(k)])
+
+
+def _count(n: Column, k: int) -> Column:
+    return F.greatest(n - (k - 1), F.lit(0))
+
+
+def _starts(n: Column, k: int) -> Column:
+    return F.when(n >= k, F.sequence(F.lit(0), n - k)).otherwise(F.array().cast("array<int>"))
 
 
-def _short_windows(h: Column, lengths: list[int]) -> Column:
-    """Windows of documents for the lengths of short items."""
+def _hash_windows(h: Column, g: Column, lengths: list[int]) -> Column:
+    """Hashes of all windows in one array: seed by seed, then by length for short items.  The seed
+    is part of the hash, so a plain long is the whole key."""
     n = F.size(h)
+    return F.concat(*[F.transform(_starts(n, SPAN), _window(g, k, m)) for k, m in enumerate(MASKS)], *[F.transform(_starts(n, k), _whole(h, k)) for k in lengths])
 
-    def whole(k: int):
-        return lambda i: F.struct(i.alias("at"), F.lit(-k).alias("seed"), F.xxhash64(F.concat_ws(",", F.transform(F.slice(h, i + 1, F.lit(k)), lambda x: x.cast("string")))).alias("hash"))
 
-    return F.concat(*[F.transform(F.when(n >= k, F.sequence(F.lit(0), n - k)).otherwise(F.array().cast("array<int>")), whole(k)) for k in lengths])
+def _place(pos: Column, n: Column, seed: Column, lengths: list[int]) -> Column:
+    """Start of the window at ``pos`` of the array that ``_hash_windows`` makes."""
+    at = pos - seed * _count(n, SPAN)
+    base = len(MASKS) * _count(n, SPAN)
+    for k in lengths:
+        at = F.when(seed == -k, pos - base).otherwise(at)
+        base = base + _count(n, k)
+    return at
 
 
 def overlaps(docs: DataFrame, items: DataFrame) -> DataFrame:
@@ -70,17 +82,21 @@ def overlaps(docs: DataFrame, items: DataFrame) -> DataFrame:
     document lie in stretches that agree with the item."""
     d = docs.select(F.col("doc_id").cast("long").alias("doc_id"), words(F.col("text").cast("string")).alias("w"))
     b = items.select(F.col("item_id").cast("long").alias("item_id"), words(F.col("text").cast("string")).alias("w")).where("size(w) > 0")
-    tests = b.select("item_id", F.explode(_seeds(_hashes(F.col("w")), True)).alias("s")).select("item_id", F.col("s.at").alias("item_at"), "s.seed", "s.hash")
-    lengths = [-r[0] for r in tests.where("seed < 0").select("seed").distinct().collect()]  # at most SPAN - 1
+    sizes = b.select("item_id", _hashes(F.col("w")).alias("h")).select("*", _pairs(F.col("h")).alias("g"), F.size("h").alias("n"))
+    lengths = sorted(r.n for r in sizes.where(F.col("n") < SPAN).select("n").distinct().collect())  # at most SPAN - 1
+    long_tests = sizes.where(F.col("n") >= SPAN).select("item_id", "n", F.posexplode(_hash_windows(F.col("h"), F.col("g"), [])).alias("pos", "hash"))
+    tests = long_tests.select("item_id", (F.col("pos") % _count(F.col("n"), SPAN)).alias("item_at"), F.expr(f"pos div (n - {SPAN - 1})").cast("int").alias("seed"), "hash")
+    for k in lengths:
+        tests = tests.union(sizes.where(F.col("n") == k).select("item_id", F.lit(0), F.lit(-k), _whole(F.col("h"), k)(F.lit(0))))
     n_tests = tests.count()
-    keys = tests.groupBy("seed", "hash").agg(F.collect_list(F.struct("item_id", "item_at")).alias("where"))
+    keys = tests.groupBy("hash").agg(F.collect_list(F.struct("item_id", "item_at", "seed")).alias("where"))
     small = n_tests <= SMALL
     if small:
         keys = F.broadcast(keys)
-    hashed = d.select("doc_id", _hashes(F.col("w")).alias("h"))
-    spread = F.explode(_seeds(F.col("h"), False) if not lengths else F.concat(_seeds(F.col("h"), False), _short_windows(F.col("h"), sorted(lengths))))
-    windows = hashed.select("doc_id", spread.alias("s")).select("doc_id", F.col("s.at").alias("at"), "s.seed", "s.hash")
-    hits = windows.join(keys, ["seed", "hash"]).select("doc_id", "at", F.explode("where").alias("x")).select("doc_id", F.col("x.item_id").alias("item_id"), (F.col("at") - F.col("x.item_at")).alias("shift"))
+    hashed = d.select("doc_id", _hashes(F.col("w")).alias("h")).select("*", _pairs(F.col("h")).alias("g"))
+    windows = hashed.select("doc_id", F.size("h").alias("n"), F.posexplode(_hash_windows(F.col("h"), F.col("g"), lengths)).alias("pos", "hash"))
+    met = windows.join(keys, "hash").select("doc_id", "n", "pos", F.explode("where").alias("x"))
+    hits = met.select("doc_id", F.col("x.item_id").alias("item_id"), (_place(F.col("pos"), F.col("n"), F.col("x.seed"), lengths) - F.col("x.item_at")).alias("shift"))
     lines = hits.distinct()
     aligned = lines.join(F.broadcast(b.select("item_id", F.col("w").alias("v"))) if small else b.select("item_id", F.col("w").alias("v")), "item_id")
     both = d.join(aligned, "doc_id")
