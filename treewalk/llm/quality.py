@@ -132,9 +132,9 @@ def fit(docs: DataFrame, labels: DataFrame, per_class: int = 2500) -> Net | None
     rows = labelled(docs, labels, "quality", 5, per_class)
     if len({y for _, y in rows}) < 2:
         return None
-    x, count = passages([t for t, _ in rows])
+    made = [passages([t for t, _ in rows[i : i + 50]]) for i in range(0, len(rows), 50)]  # in small blocks: bounded memory
     net = Net()
-    net.train(x, count, np.array([y for _, y in rows], np.float32))
+    net.train(np.concatenate([x for x, _ in made]), np.concatenate([c for _, c in made]), np.array([y for _, y in rows], np.float32))
     return net
 
 
