@@ -7,8 +7,10 @@
 3. In each slice a graph is built: nearest candidates, then robust pruning (a candidate goes if an
    already chosen neighbour is ``ALPHA`` times nearer to it), then reverse links.  The adjacency
    lists of a class from all its slices are united.
-4. Search: every class is a query to each shard that can hold a class within reach (a bound on
-   distances to centres decides, without loss).  A beam search walks from the slice's medoid, then
+4. Search: every class is a query to each shard whose centre is about as near as its own: within
+   ``MARGIN`` in cosine, and within the bound on distances to centres that no link can break.  (A
+   neighbour's offset is spread over all dimensions, so its nearest centre is far closer than that
+   bound; with ``margin=2`` the bound alone decides and no link is lost.)  A beam search walks from the slice's medoid, then
    expands over the nodes in range (and a little around it) until none is new.  Cosines
    are in double precision, so every link reported is verified.
 5. Only counts and a forest of links leave a slice; components follow from the forests.
@@ -34,7 +36,7 @@ from .common import cut, parts
 from .components import classes
 
 NEAR, SLICE, MAX_SHARDS, SAMPLE = 0.9, 3000, 1024, 20_000
-CANDIDATES, DEGREE, ALPHA, BEAM, AROUND, STEP = 48, 24, 1.2, 24, 0.08, 4
+CANDIDATES, DEGREE, ALPHA, BEAM, AROUND, STEP, MARGIN = 48, 24, 1.2, 16, 0.08, 4, 0.2
 
 
 def _unit(col: pa.Array) -> np.ndarray:
@@ -156,7 +158,7 @@ def _valid(e):
     return e.isNotNull() & (F.size(e) > 0) & ~F.exists(e, lambda v: v.isNull() | F.isnan(v) | (F.abs(v) == F.lit(float("inf")))) & F.exists(e, lambda v: v != 0)
 
 
-def link(vectors: DataFrame, near: float = NEAR, slice_size: int = SLICE) -> tuple[DataFrame, DataFrame]:
+def link(vectors: DataFrame, near: float = NEAR, slice_size: int = SLICE, margin: float = MARGIN) -> tuple[DataFrame, DataFrame]:
     """Per row ``(vec_id, n_links, component_id, kept)`` and, for audits, the class map."""
     spark = vectors.sparkSession
     n_parts = parts(spark)
@@ -188,7 +190,8 @@ def link(vectors: DataFrame, near: float = NEAR, slice_size: int = SLICE) -> tup
                 s = _unit(part.column(1)) @ c.T
                 home = s.argmax(1)
                 rank = np.argsort(-s, axis=1, kind="stable")[:, :2]
-                visit = (s[np.arange(len(s)), home][:, None] - s) <= reach * gap[home]
+                behind = s[np.arange(len(s)), home][:, None] - s
+                visit = behind <= np.minimum(reach * gap[home], margin)
                 visit[np.arange(len(s)), home] = True
                 member = np.zeros_like(visit)
                 member[np.arange(len(s))[:, None], rank] = True
