@@ -36,7 +36,7 @@ from .common import cut, parts
 from .components import classes
 
 NEAR, SLICE, MAX_SHARDS, SAMPLE = 0.9, 3000, 1024, 20_000
-CANDIDATES, DEGREE, ALPHA, BEAM, AROUND, STEP, MARGIN = 48, 24, 1.2, 16, 0.08, 4, 0.2
+CANDIDATES, DEGREE, ALPHA, BEAM, AROUND, STEP, MARGIN = 48, 24, 1.2, 16, 0.08, 4, 0.12
 
 
 def _unit(col: pa.Array) -> np.ndarray:
