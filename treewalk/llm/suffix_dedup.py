@@ -9,7 +9,7 @@ document or another.  Not every suffix needs sorting:
 2. Suffixes.  For the others, the bytes from ``LENGTH - GRAM`` before the anchor to ``LENGTH``
    after it are cut out; equal ones of an input slice travel as one.  Sampled splitters
    range-partition them by their leading bytes; a splitter never parts suffixes with equal
-   leading ``GRAM`` bytes, so the common prefix over a bucket's border is too short for a repeat.
+   leading ``LEAD`` bytes, so the common prefix over a bucket's border is too short for a repeat.
 3. Buckets.  Each bucket sorts its suffixes, and the reversed bytes before the anchors, by
    multikey quicksort; common prefixes of neighbours give, for every position of a string over
    its anchor, the classes of equal strings.
@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 from .common import bites, cut, numbered, parts, renamed
 from .word_memo import _Powers, _B1, _B2
 
-LENGTH, GRAM, HOT, BUCKET_ROWS = 200, 100, 50_000, 20_000
+LENGTH, GRAM, LEAD, HOT, BUCKET_ROWS = 200, 64, 32, 50_000, 20_000
 LEFT = LENGTH - GRAM
 _P1, _P2 = _Powers(_B1), _Powers(_B2)
 
@@ -100,18 +100,21 @@ def _contexts(rows: DataFrame) -> DataFrame:
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         width = LEFT + LENGTH
-        for piece, texts in bites(batches, "text", 500_000):
+        for piece, texts in bites(batches, "text", 8_000_000):
             b, offs = _flat(texts)
             row = piece.column(0).to_numpy(zero_copy_only=False)
             ats = [np.array(x, np.int64) for x in piece.column(2).to_pylist()]
             doc = np.repeat(np.arange(len(texts)), [len(x) for x in ats])
             at = np.concatenate(ats)
             padded = np.concatenate([np.full(LEFT, 255, np.uint8), b, np.full(LENGTH, 255, np.uint8)])
-            for lo in range(0, len(at), 20_000):
-                d, a = doc[lo : lo + 20_000], at[lo : lo + 20_000]
-                grid = (offs[d] + a)[:, None] + np.arange(width)
-                ctx = padded[grid]
-                ctx[(grid < (offs[d] + LEFT)[:, None]) | (grid >= (offs[d + 1] + LEFT)[:, None])] = 255
+            for lo in range(0, len(at), 60_000):
+                d, a = doc[lo : lo + 60_000], at[lo : lo + 60_000]
+                ctx = np.empty((len(d), width), np.uint8)
+                for k in range(0, len(d), 5_000):  # the index grid is the large part
+                    e, g = d[k : k + 5_000], a[k : k + 5_000]
+                    grid = (offs[e] + g)[:, None] + np.arange(width)
+                    ctx[k : k + 5_000] = padded[grid]
+                    ctx[k : k + 5_000][(grid < (offs[e] + LEFT)[:, None]) | (grid >= (offs[e + 1] + LEFT)[:, None])] = 255
                 _, first, back = np.unique(np.ascontiguousarray(ctx).view(f"V{width}").reshape(-1), return_index=True, return_inverse=True)
                 order = np.argsort(back, kind="stable")
                 ends = np.cumsum(np.bincount(back, minlength=len(first))).astype(np.int32)
@@ -202,8 +205,8 @@ def _bucket_spans(contexts: DataFrame) -> DataFrame:
             ctx = np.frombuffer(b"".join(t.column(0).to_pylist()), np.uint8).reshape(-1, LEFT + LENGTH)
             done = len(ctx)
             if not last:
-                gram = np.ascontiguousarray(ctx[:, LEFT : LEFT + GRAM]).view(f"V{GRAM}").reshape(-1)
-                other = np.flatnonzero(gram != gram[-1])
+                lead = np.ascontiguousarray(ctx[:, LEFT : LEFT + LEAD]).view(f"V{LEAD}").reshape(-1)
+                other = np.flatnonzero(lead != lead[-1])
                 done = int(other[-1]) + 1 if len(other) else 0
             if not done:
                 return None, t.to_batches()
@@ -231,7 +234,7 @@ def _bucket_spans(contexts: DataFrame) -> DataFrame:
         if held and size:
             yield flush(held, True)[0]
 
-    lead = F.substring("ctx", LEFT + 1, GRAM)
+    lead = F.substring("ctx", LEFT + 1, LEAD)
     spread = contexts.withColumn("lead", lead).repartitionByRange(parts(contexts.sparkSession), "lead").sortWithinPartitions("lead").drop("lead")
     return spread.mapInArrow(kernel, "row long, lo int, hi int")
 
@@ -257,7 +260,7 @@ def _hot_spans(rows: DataFrame) -> DataFrame:
 def spans(rows: DataFrame, hot: int = HOT) -> DataFrame:
     """Removed spans ``(row, lo, hi)`` in bytes of ``rows (row, text)``; they may overlap."""
     found = cut(_anchor_rows(rows.where(F.octet_length("text") >= LENGTH)), "anchors")
-    counts = found.groupBy("gram").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    counts = cut(found.groupBy("gram").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "anchor-counts")
     again = found.join(counts, "gram").select("row", "at", (F.col("n") > hot).alias("hot"))
     places = again.groupBy("row").agg(F.collect_list(F.when(~F.col("hot"), F.col("at"))).alias("ats"), F.collect_list(F.when(F.col("hot"), F.col("at"))).alias("hots"))
     with_text = lambda p: rows.join(p.hint("shuffle_hash"), "row")
@@ -299,16 +302,22 @@ def _removed(rows: DataFrame, finish, schema: str, hot: int) -> DataFrame:
     return rows.join(gathered.hint("shuffle_hash"), "row", "left").select("row", "text", "runs").mapInArrow(kernel, schema)
 
 
+def _keyed(docs: DataFrame) -> tuple[DataFrame, DataFrame | None]:
+    """Rows by a key that is never null; saying so lets both joins with the texts share one exchange."""
+    rows, names = numbered(docs)
+    return rows.where("row IS NOT NULL"), names
+
+
 def digests(docs: DataFrame, hot: int = HOT) -> DataFrame:
     """``(doc_id, n_bytes, n_removed, n_spans, kept_sha256)``."""
-    rows, names = numbered(docs)
+    rows, names = _keyed(docs)
     one = lambda raw, runs, kept: (len(raw), len(raw) - len(kept), len(runs), hashlib.sha256(kept).hexdigest())
     return renamed(_removed(rows, one, "row long, n_bytes long, n_removed long, n_spans long, kept_sha256 string", hot), names)
 
 
 def texts(docs: DataFrame, hot: int = HOT) -> DataFrame:
     """``(doc_id, text, n_removed)``: what is left; bytes of characters cut in two go as well."""
-    rows, names = numbered(docs)
+    rows, names = _keyed(docs)
     one = lambda raw, runs, kept: (kept.decode(errors="ignore"), len(raw) - len(kept))
     return renamed(_removed(rows, one, "row long, text string, n_removed long", hot), names)
 
