@@ -1,6 +1,7 @@
 """Each operator against brute force, a round trip or held-out accuracy, with awkward rows."""
 
 import hashlib
+import itertools
 import random
 import zlib
 
@@ -166,6 +167,19 @@ def test_decontamination(spark, docs, empty, awkward):
     assert decontaminate.flag(d, none).where("contaminated").count() == 0 and decontaminate.flag(empty, b).count() == 0 and decontaminate.flag(awkward, b).count() == 3
 
 
+@pytest.mark.parametrize("n", [13, 14])
+def test_decontamination_replacements(spark, n):
+    """Items of 13 and 14 words with one to three words replaced, against the verifier alone."""
+    item = [f"term{k}" for k in range(n)]
+    cases = [c for m in (1, 2, 3) for c in itertools.combinations(range(n), m)]
+    rows = [(k, "some words " + " ".join("other" if i in c else w for i, w in enumerate(item)) + " behind it") for k, c in enumerate(cases)]
+    span, agree = decontaminate.SPAN, decontaminate.AGREE
+    want = {k for k, c in enumerate(cases) if any(span - sum(lo <= i < lo + span for i in c) >= agree for lo in range(n - span + 1))}
+    d = spark.createDataFrame(rows, "doc_id long, text string")
+    b = spark.createDataFrame([(7, " ".join(item))], "item_id long, text string")
+    assert {r.doc_id for r in decontaminate.flag(d, b).where("contaminated").collect()} == want
+
+
 def _labelled(n):
     r = random.Random(1)
     rows = []

@@ -1,9 +1,11 @@
 """Benchmark decontamination with spaced seeds, in DataFrame functions only.
 
 Words are lower-cased runs of letters and digits.  A spaced seed is a mask over ``SPAN`` words
-that keeps some pairs of neighbours and ignores the other positions; a masked window is hashed from
-its kept words, so a hit survives any change at the ignored ones.  Windows of the benchmark and of the documents meet
-by seed and hash.  A hit fixes an alignment (document, item, offset); every alignment is then
+that keeps every third position and ignores the others; a masked window is hashed from its kept
+words, so a hit survives any change at the ignored ones.  The masks share no position, so fewer
+changed words in a window than there are masks leave one mask untouched: whatever the
+verification accepts (``SPAN - AGREE`` changes at most) is hit.  Windows of the benchmark and of
+the documents meet by seed and hash.  A hit fixes an alignment (document, item, offset); every alignment is then
 verified on the words themselves: over each stretch of ``SPAN`` aligned words around the hit, at
 least ``AGREE`` words must agree at their places.  Items shorter than ``SPAN`` words are compared
 as a whole, word for word.
@@ -22,10 +24,10 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Fixed parameters: the span of a seed, and for each mask the places at which it keeps two words
-#: (all others are ignored).
+#: Fixed parameters: the span of a seed, and for each mask the places it keeps (all others are
+#: ignored).  The masks are disjoint and one more than the changes that ``AGREE`` allows.
 SPAN, AGREE, SMALL = 13, 11, 200_000
-MASKS = ((0, 3, 7, 11), (1, 5, 8, 11), (0, 4, 6, 9))
+MASKS = ((0, 3, 6, 9, 12), (1, 4, 7, 10), (2, 5, 8, 11))
 
 
 def words(text: Column) -> Column:
@@ -38,13 +40,8 @@ def _hashes(tokens: Column) -> Column:
     return F.transform(tokens, lambda w: F.xxhash64(w))
 
 
-def _pairs(h: Column) -> Column:
-    """Hash of each word with the next one (the last: with none)."""
-    return F.zip_with(h, F.slice(h, F.lit(2), F.size(h)), lambda a, b: F.xxhash64(a, b))
-
-
-def _window(g: Column, seed: int, mask: tuple[int, ...]):
-    return lambda i: F.xxhash64(F.lit(seed), *[F.get(g, i + j) for j in mask])
+def _window(h: Column, seed: int, mask: tuple[int, ...]):
+    return lambda i: F.xxhash64(F.lit(seed), *[F.get(h, i + j) for j in mask])
 
 
 def _whole(h: Column, k: int):
@@ -60,11 +57,11 @@ def _starts(n: Column, k: int) -> Column:
     return F.when(n >= k, F.sequence(F.lit(0), n - k)).otherwise(F.array().cast("array<int>"))
 
 
-def _hash_windows(h: Column, g: Column, lengths: list[int]) -> Column:
+def _hash_windows(h: Column, lengths: list[int]) -> Column:
     """Hashes of all windows in one array: seed by seed, then by length for short items.  The seed
     is part of the hash, so a plain long is the whole key."""
     n = F.size(h)
-    return F.concat(*[F.transform(_starts(n, SPAN), _window(g, k, m)) for k, m in enumerate(MASKS)], *[F.transform(_starts(n, k), _whole(h, k)) for k in lengths])
+    return F.concat(*[F.transform(_starts(n, SPAN), _window(h, k, m)) for k, m in enumerate(MASKS)], *[F.transform(_starts(n, k), _whole(h, k)) for k in lengths])
 
 
 def _place(pos: Column, n: Column, seed: Column, lengths: list[int]) -> Column:
@@ -82,9 +79,9 @@ def overlaps(docs: DataFrame, items: DataFrame) -> DataFrame:
     document lie in stretches that agree with the item."""
     d = docs.select(F.col("doc_id").cast("long").alias("doc_id"), words(F.col("text").cast("string")).alias("w"))
     b = items.select(F.col("item_id").cast("long").alias("item_id"), words(F.col("text").cast("string")).alias("w")).where("size(w) > 0")
-    sizes = b.select("item_id", _hashes(F.col("w")).alias("h")).select("*", _pairs(F.col("h")).alias("g"), F.size("h").alias("n"))
+    sizes = b.select("item_id", _hashes(F.col("w")).alias("h")).select("*", F.size("h").alias("n"))
     lengths = sorted(r.n for r in sizes.where(F.col("n") < SPAN).select("n").distinct().collect())  # at most SPAN - 1
-    long_tests = sizes.where(F.col("n") >= SPAN).select("item_id", "n", F.posexplode(_hash_windows(F.col("h"), F.col("g"), [])).alias("pos", "hash"))
+    long_tests = sizes.where(F.col("n") >= SPAN).select("item_id", "n", F.posexplode(_hash_windows(F.col("h"), [])).alias("pos", "hash"))
     tests = long_tests.select("item_id", (F.col("pos") % _count(F.col("n"), SPAN)).alias("item_at"), F.expr(f"pos div (n - {SPAN - 1})").cast("int").alias("seed"), "hash")
     for k in lengths:
         tests = tests.union(sizes.where(F.col("n") == k).select("item_id", F.lit(0), F.lit(-k), _whole(F.col("h"), k)(F.lit(0))))
@@ -93,8 +90,8 @@ def overlaps(docs: DataFrame, items: DataFrame) -> DataFrame:
     small = n_tests <= SMALL
     if small:
         keys = F.broadcast(keys)
-    hashed = d.select("doc_id", _hashes(F.col("w")).alias("h")).select("*", _pairs(F.col("h")).alias("g"))
-    windows = hashed.select("doc_id", F.size("h").alias("n"), F.posexplode(_hash_windows(F.col("h"), F.col("g"), lengths)).alias("pos", "hash"))
+    hashed = d.select("doc_id", _hashes(F.col("w")).alias("h"))
+    windows = hashed.select("doc_id", F.size("h").alias("n"), F.posexplode(_hash_windows(F.col("h"), lengths)).alias("pos", "hash"))
     met = windows.join(keys, "hash").select("doc_id", "n", "pos", F.explode("where").alias("x"))
     hits = met.select("doc_id", F.col("x.item_id").alias("item_id"), (_place(F.col("pos"), F.col("n"), F.col("x.seed"), lengths) - F.col("x.item_at")).alias("shift"))
     lines = hits.distinct()
