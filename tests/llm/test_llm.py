@@ -239,6 +239,22 @@ def test_vectors(spark):
     assert vector_graph.run(d.limit(0)).count() == 0
 
 
+def test_vector_groups_above_candidates(spark):
+    """Many groups of more distinct near copies than a node has candidates, in one slice."""
+    r = np.random.default_rng(6)
+    base = r.standard_normal((20, 64))
+    x = np.concatenate([b + 0.24 * r.standard_normal((100, 64)) for b in base])
+    u = x / np.linalg.norm(x, axis=1, keepdims=True)
+    index = vector_graph.Searcher(u, vector_graph.build(u), 0.9)
+    near = u @ u.T >= 0.9
+    assert near.sum() > 20 * 100 * 50
+    found = dict(index.queries(u))
+    assert all(np.array_equal(np.sort(found[k]), np.flatnonzero(near[k])) for k in range(len(u)))
+    d = spark.createDataFrame([(k, v.tolist(), 1) for k, v in enumerate(x)], "vec_id long, embedding array<double>, label int").repartition(3)
+    got = {g.vec_id: g.n_links for g in vector_graph.link(d)[0].collect()}
+    assert [got[k] for k in range(len(x))] == (near.sum(1) - 1).tolist()
+
+
 def test_revisits(spark):
     schema = "record_id long, record_type string, url string, ts long, status int, etag string, last_modified string, headers map<string,string>, extra int"
     rows = [

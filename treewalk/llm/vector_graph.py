@@ -10,9 +10,11 @@
 4. Search: every class is a query to each shard whose centre is about as near as its own: within
    ``MARGIN`` in cosine, and within the bound on distances to centres that no link can break.  (A
    neighbour's offset is spread over all dimensions, so its nearest centre is far closer than that
-   bound; with ``margin=2`` the bound alone decides and no link is lost.)  A beam search walks from the slice's medoid, then
-   expands over the nodes in range (and a little around it) until none is new.  Cosines
-   are in double precision, so every link reported is verified.
+   bound; with ``margin=2`` the bound alone decides and no link is lost.)  In a slice each node lies within
+   ``COVER`` of an entry that links to it.  The search starts from all entries that may, by the angles,
+   own a neighbour, and expands over the nodes in range (and a little around it) until none is new,
+   so it finds every neighbour in the slice, however large its group.  Cosines are in double
+   precision, so every link reported is verified.
 5. Only counts and a forest of links leave a slice; components follow from the forests.
 
 ``audit`` measures recall against brute force on the rows whose id is divisible by 20.
@@ -29,6 +31,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -36,11 +39,11 @@ from .common import cut, parts
 from .components import classes
 
 NEAR, SLICE, MAX_SHARDS, SAMPLE = 0.9, 3000, 1024, 20_000
-CANDIDATES, DEGREE, ALPHA, BEAM, AROUND, STEP, MARGIN = 48, 24, 1.2, 16, 0.08, 4, 0.12
+CANDIDATES, DEGREE, ALPHA, COVER, AROUND, MARGIN = 48, 24, 1.2, 0.8, 0.08, 0.12
 
 
 def _unit(col: pa.Array) -> np.ndarray:
-    x = np.array(col.to_pylist(), np.float64)
+    x = pa.compute.list_flatten(col).to_numpy().astype(np.float64).reshape(len(col), -1)
     return x / np.linalg.norm(x, axis=1, keepdims=True)
 
 
@@ -91,48 +94,75 @@ def build(x: np.ndarray) -> list[np.ndarray]:
     return [np.array(a, np.int64) for a in links]
 
 
-class Searcher:
-    """Range search over one slice: beam search from the medoid, then expansion in range."""
+def cells(x: np.ndarray) -> np.ndarray:
+    """For each node an entry node within ``COVER`` in cosine; an entry has itself."""
+    own, heads = np.full(len(x), -1), np.zeros(0, np.int64)
+    for lo in range(0, len(x), 256):
+        part = np.arange(lo, min(lo + 256, len(x)))
+        if len(heads):
+            s = x[part] @ x[heads].T
+            best = s.argmax(1)
+            ok = s[np.arange(len(part)), best] >= COVER
+            own[part[ok]] = heads[best[ok]]
+        rest = part[own[part] < 0]
+        s = x[rest] @ x[rest].T >= COVER
+        for i, node in enumerate(rest):
+            if own[node] < 0:
+                own[rest[s[i] & (own[rest] < 0)]] = node
+                own[node] = node
+        heads = np.concatenate([heads, rest[own[rest] == rest]])
+    return own
+
 
-    def __init__(self, x: np.ndarray, adjacency: list[np.ndarray]):
-        self.x = x
-        width = max([1, *map(len, adjacency)])
-        self.adj = np.full((len(x), width), -1)
-        for i, a in enumerate(adjacency):
-            self.adj[i, : len(a)] = a
-        self.medoid = int((x @ x.mean(0)).argmax())
-        self.stamp, self.now = np.zeros(len(x), np.int64), 0
+class Searcher:
+    """Range search over one slice: from the entries that can own a neighbour, then along the graph.
+
+    An entry has links to all nodes of its cell.  A neighbour of a query lies within ``COVER`` of its
+    entry, so by the angles its entry lies above a floor of the query: nothing is missed.
+    """
+
+    def __init__(self, x: np.ndarray, adjacency: list[np.ndarray], near: float):
+        self.x, self.near = x, near
+        own = cells(x)
+        order = np.argsort(own, kind="stable")
+        self.heads, first = np.unique(own[order], return_index=True)
+        self.adj = list(adjacency)
+        for head, cell in zip(self.heads.tolist(), np.split(order, first[1:])):
+            self.adj[head] = np.concatenate([self.adj[head], cell])
+        self.entries = x[self.heads]
+        wide = np.arccos(near) + np.arccos(COVER)
+        self.floor = float(np.cos(wide)) - 1e-9 if wide < np.pi else -2.0
+        self.stamp, self.now, self.slot = np.zeros(len(x), np.int64), 0, np.zeros(len(x), np.int64)
 
     def _fresh(self, nodes: np.ndarray) -> np.ndarray:
-        a = self.adj[nodes].ravel()
-        a = a[a >= 0]
-        a = np.unique(a[self.stamp[a] != self.now])
+        a = np.concatenate([self.adj[i] for i in nodes.tolist()])
+        a = a[self.stamp[a] != self.now]
+        at = np.arange(len(a))
+        self.slot[a] = at
+        a = a[self.slot[a] == at]  # each once
         self.stamp[a] = self.now
         return a
 
-    def query(self, q: np.ndarray, near: float) -> np.ndarray:
+    def queries(self, q: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+        """``(row of q, nodes in range)`` for the rows that any entry is open to."""
+        for lo in range(0, len(q), 512):
+            s = q[lo : lo + 512] @ self.entries.T
+            row, seed = np.nonzero(s >= self.floor)
+            at, first = np.unique(row, return_index=True)
+            for i, seeds in zip(at.tolist(), np.split(seed, first[1:])):
+                yield lo + i, self._range(q[lo + i], self.heads[seeds], s[i, seeds])
+
+    def _range(self, q: np.ndarray, ids: np.ndarray, cos: np.ndarray) -> np.ndarray:
         self.now += 1
-        ids = np.array([self.medoid])
         self.stamp[ids] = self.now
-        cos = self.x[ids] @ q
-        done = np.zeros(1, bool)
-        while True:
-            top = np.argpartition(-cos, BEAM - 1)[:BEAM] if len(cos) > BEAM else np.arange(len(cos))
-            top = top[~done[top]]
-            if not len(top):
-                break
-            go = top[np.argsort(-cos[top], kind="stable")[:STEP]]
-            done[go] = True
-            new = self._fresh(ids[go])
-            ids, cos, done = np.concatenate([ids, new]), np.concatenate([cos, self.x[new] @ q]), np.concatenate([done, np.zeros(len(new), bool)])
-        while True:
-            go = np.flatnonzero((cos >= near - AROUND) & ~done)
-            if not len(go):
-                break
+        done = np.zeros(len(ids), bool)
+        go = np.arange(len(ids))
+        while len(go):
             done[go] = True
             new = self._fresh(ids[go])
             ids, cos, done = np.concatenate([ids, new]), np.concatenate([cos, self.x[new] @ q]), np.concatenate([done, np.zeros(len(new), bool)])
-        return ids[cos >= near]
+            go = np.flatnonzero((cos >= self.near - AROUND) & ~done)
+        return ids[cos >= self.near]
 
 
 def _groups(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[pa.Table]:
@@ -229,9 +259,9 @@ def link(vectors: DataFrame, near: float = NEAR, slice_size: int = SLICE, margin
                 a = np.array(a or [], np.int64)
                 p = order[np.minimum(np.searchsorted(ids[order], a), len(ids) - 1)] if len(a) else a
                 local.append(p[ids[p] == a] if len(a) else a)
-            index = Searcher(_unit(m.column("v")), local)
+            index = Searcher(_unit(m.column("v")), local, near)
             q = t.filter(pa.array(asks))
-            who, x = q.column("id").to_numpy(), _unit(q.column("v")) if q.num_rows else None
+            who, x = q.column("id").to_numpy(), _unit(q.column("v")) if q.num_rows else np.zeros((0, usual))
             a, b, n_links, parent = [], [], [], {}
 
             def root(i):
@@ -241,8 +271,8 @@ def link(vectors: DataFrame, near: float = NEAR, slice_size: int = SLICE, margin
                 return i
 
             joined: np.ndarray = np.arange(len(ids))  # known root of each local node
-            for i, one in zip(who.tolist(), x if x is not None else ()):
-                found = index.query(one, near)
+            for at, found in index.queries(x):
+                i = int(who[at])
                 found = found[ids[found] != i]
                 a.append(i)
                 b.append(None)
