@@ -255,6 +255,17 @@ def test_vector_groups_above_candidates(spark):
     assert [got[k] for k in range(len(x))] == (near.sum(1) - 1).tolist()
 
 
+def test_vector_links_across_shards(spark):
+    """Pairs just above the limit, many shards, few dimensions: every link against brute force."""
+    r = np.random.default_rng(7)
+    x = r.standard_normal((1500, 8))
+    x = np.concatenate([x, x[:500] + 0.35 * r.standard_normal((500, 8))])
+    d = spark.createDataFrame([(k, v.tolist(), 1) for k, v in enumerate(x)], "vec_id long, embedding array<double>, label int").repartition(3)
+    got = {g.vec_id: g.n_links for g in vector_graph.link(d, slice_size=60)[0].collect()}
+    u = x / np.linalg.norm(x, axis=1, keepdims=True)
+    assert [got[k] for k in range(len(x))] == ((u @ u.T >= 0.9).sum(1) - 1).tolist()
+
+
 def test_revisits(spark):
     schema = "record_id long, record_type string, url string, ts long, status int, etag string, last_modified string, headers map<string,string>, extra int"
     rows = [

@@ -7,10 +7,11 @@
 3. In each slice a graph is built: nearest candidates, then robust pruning (a candidate goes if an
    already chosen neighbour is ``ALPHA`` times nearer to it), then reverse links.  The adjacency
    lists of a class from all its slices are united.
-4. Search: every class is a query to each shard whose centre is about as near as its own: within
-   ``MARGIN`` in cosine, and within the bound on distances to centres that no link can break.  (A
-   neighbour's offset is spread over all dimensions, so its nearest centre is far closer than that
-   bound; with ``margin=2`` the bound alone decides and no link is lost.)  In a slice each node lies within
+4. Search: every class is a query to each shard in which a neighbour can have its home.  The home
+   of a neighbour is nearer to its centre than to any other, so a query that lies further than the
+   angle of ``near`` behind the plane between two centres has no neighbour there; planes to the
+   ``RIVALS`` centres nearest to the query are tried.  The bound loses no link.  Queries stream past
+   the slice, which alone is held in memory.  In a slice each node lies within
    ``COVER`` of an entry that links to it.  The search starts from all entries that may, by the angles,
    own a neighbour, and expands over the nodes in range (and a little around it) until none is new,
    so it finds every neighbour in the slice, however large its group.  Cosines are in double
@@ -39,7 +40,7 @@ from .common import cut, parts
 from .components import classes
 
 NEAR, SLICE, MAX_SHARDS, SAMPLE = 0.9, 3000, 1024, 20_000
-CANDIDATES, DEGREE, ALPHA, COVER, AROUND, MARGIN = 48, 24, 1.2, 0.8, 0.08, 0.12
+CANDIDATES, DEGREE, ALPHA, COVER, AROUND, RIVALS = 48, 24, 1.2, 0.8, 0.08, 8
 
 
 def _unit(col: pa.Array) -> np.ndarray:
@@ -188,7 +189,7 @@ def _valid(e):
     return e.isNotNull() & (F.size(e) > 0) & ~F.exists(e, lambda v: v.isNull() | F.isnan(v) | (F.abs(v) == F.lit(float("inf")))) & F.exists(e, lambda v: v != 0)
 
 
-def link(vectors: DataFrame, near: float = NEAR, slice_size: int = SLICE, margin: float = MARGIN) -> tuple[DataFrame, DataFrame]:
+def link(vectors: DataFrame, near: float = NEAR, slice_size: int = SLICE) -> tuple[DataFrame, DataFrame]:
     """Per row ``(vec_id, n_links, component_id, kept)`` and, for audits, the class map."""
     spark = vectors.sparkSession
     n_parts = parts(spark)
@@ -209,7 +210,7 @@ def link(vectors: DataFrame, near: float = NEAR, slice_size: int = SLICE, margin
     k = max(1, min(MAX_SHARDS, -(-n // max(slice_size // 2, 1)), len(sample)))
     c = centres(sample, k)
     shared = spark.sparkContext.broadcast(c)  # at most MAX_SHARDS vectors
-    reach = float(np.sqrt(2 - 2 * near)) + 1e-9
+    reach = float(np.sqrt(1 - near**2)) if near > 0 else 1.0
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = shared.value
@@ -220,8 +221,9 @@ def link(vectors: DataFrame, near: float = NEAR, slice_size: int = SLICE, margin
                 s = _unit(part.column(1)) @ c.T
                 home = s.argmax(1)
                 rank = np.argsort(-s, axis=1, kind="stable")[:, :2]
-                behind = s[np.arange(len(s)), home][:, None] - s
-                visit = behind <= np.minimum(reach * gap[home], margin)
+                visit = np.ones(s.shape, bool)
+                for rival in np.argsort(-s, axis=1, kind="stable")[:, :RIVALS].T:
+                    visit &= s[np.arange(len(s)), rival][:, None] - s <= reach * gap[rival] + 1e-7
                 visit[np.arange(len(s)), home] = True
                 member = np.zeros_like(visit)
                 member[np.arange(len(s))[:, None], rank] = True
@@ -242,38 +244,37 @@ def link(vectors: DataFrame, near: float = NEAR, slice_size: int = SLICE, margin
             adj = build(_unit(t.column("v")))
             yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array([ids[a].tolist() for a in adj], pa.list_(pa.int64()))], names=["id", "near"])
 
-    in_order = lambda df: df.repartition(n_parts, "shard", "slice").sortWithinPartitions("shard", "slice", "id")
+    in_order = lambda df, *then: df.repartition(n_parts, "shard", "slice").sortWithinPartitions("shard", "slice", *then, "id")
     built = in_order(members.join(bodies, "id").select("shard", "slice", "id", "v")).mapInArrow(construct, "id long, near array<long>")
     united = cut(built.groupBy("id").agg(F.array_distinct(F.flatten(F.collect_list("near"))).alias("near")), "vector-graph")
 
-    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for t in _groups(batches, 2):
-            asks = t.column("ask").to_numpy()
-            m = t.filter(pa.array(~asks))
-            if not m.num_rows:
-                continue
-            ids, copies, home = m.column("id").to_numpy(), m.column("copies").to_numpy(), m.column("home").to_numpy()
-            order = np.argsort(ids)
-            local = []
-            for a in m.column("near").to_pylist():
-                a = np.array(a or [], np.int64)
-                p = order[np.minimum(np.searchsorted(ids[order], a), len(ids) - 1)] if len(a) else a
-                local.append(p[ids[p] == a] if len(a) else a)
-            index = Searcher(_unit(m.column("v")), local, near)
-            q = t.filter(pa.array(asks))
-            who, x = q.column("id").to_numpy(), _unit(q.column("v")) if q.num_rows else np.zeros((0, usual))
-            a, b, n_links, parent = [], [], [], {}
-
-            def root(i):
-                while parent.setdefault(i, i) != i:
-                    parent[i] = parent[parent[i]]
-                    i = parent[i]
-                return i
-
-            joined: np.ndarray = np.arange(len(ids))  # known root of each local node
-            for at, found in index.queries(x):
+    def indexed(m: pa.Table):
+        """Answers to batches of queries over the members of one slice."""
+        ids, copies, home = m.column("id").to_numpy(), m.column("copies").to_numpy(), m.column("home").to_numpy()
+        order = np.argsort(ids)
+        local = []
+        for a in m.column("near").to_pylist():
+            a = np.array(a or [], np.int64)
+            p = order[np.minimum(np.searchsorted(ids[order], a), len(ids) - 1)] if len(a) else a
+            local.append(p[ids[p] == a] if len(a) else a)
+        index = Searcher(_unit(m.column("v")), local, near)
+        joined: np.ndarray = np.arange(len(ids))  # known root of each local node
+        parent: dict = {}
+
+        def root(i):
+            while parent.setdefault(i, i) != i:
+                parent[i] = parent[parent[i]]
+                i = parent[i]
+            return i
+
+        def answer(q: pa.RecordBatch) -> pa.RecordBatch:
+            who = q.column("id").to_numpy()
+            a, b, n_links = [], [], []
+            for at, found in index.queries(_unit(q.column("v"))):
                 i = int(who[at])
                 found = found[ids[found] != i]
+                if not len(found):
+                    continue
                 a.append(i)
                 b.append(None)
                 n_links.append(int(copies[found][home[found]].sum()))
@@ -284,13 +285,32 @@ def link(vectors: DataFrame, near: float = NEAR, slice_size: int = SLICE, margin
                         a.append(i)
                         b.append(int(ids[r]))
                         n_links.append(0)
-                if len(found):
-                    joined[found] = [root(r) for r in joined[found].tolist()] if len(found) < 64 else np.array([root(r) for r in np.unique(joined[found]).tolist()])[np.unique(joined[found], return_inverse=True)[1]]
-            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(n_links, pa.int64())], names=["a", "b", "n"])
+                joined[found] = [root(r) for r in joined[found].tolist()] if len(found) < 64 else np.array([root(r) for r in np.unique(joined[found]).tolist()])[np.unique(joined[found], return_inverse=True)[1]]
+            return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(n_links, pa.int64())], names=["a", "b", "n"])
+
+        return answer
+
+    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, held, answer = None, [], None
+        for b in batches:
+            key = np.stack([b.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in ("shard", "slice", "ask")], 1)
+            edges = [0, *(np.flatnonzero((key[1:] != key[:-1]).any(1)) + 1).tolist(), b.num_rows]
+            for lo, hi in zip(edges[:-1], edges[1:]):
+                if hi == lo:
+                    continue
+                shard, own, ask = key[lo].tolist()
+                if (shard, own) != at:
+                    at, held, answer = (shard, own), [], None
+                if not ask:
+                    held.append(b.slice(lo, hi - lo))
+                elif held or answer:
+                    if answer is None:
+                        answer, held = indexed(pa.Table.from_batches(held)), []
+                    yield answer(b.slice(lo, hi - lo))
 
     loaded = members.join(bodies, "id").join(united, "id").select("shard", "slice", "id", "v", "copies", "home", "near", F.lit(False).alias("ask"))
     asked = queries.join(bodies, "id").select("shard", "slice", "id", "v", "copies", F.lit(False).alias("home"), F.lit(None).cast("array<long>").alias("near"), F.lit(True).alias("ask"))
-    found = cut(in_order(loaded.union(asked)).mapInArrow(search, "a long, b long, n long"), "vector-links")
+    found = cut(in_order(loaded.union(asked), "ask").mapInArrow(search, "a long, b long, n long"), "vector-links")
     counts = found.groupBy(F.col("a").alias("id")).agg(F.sum("n").alias("n"))
     comps = classes(found.where("b is not null").select("a", "b"))
     named = reps.join(counts, "id", "left").join(comps.withColumnRenamed("node", "id"), "id", "left").select("v", "cls", "copies", F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("root", "id").alias("root"))
