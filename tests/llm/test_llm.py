@@ -221,6 +221,17 @@ def test_language(spark, empty, awkward):
     assert language.predict(empty, model).count() == 0 and language.predict(awkward, language.fit(empty)).where("lang_pred = 'und'").count() == 3
 
 
+def test_language_of_eight():
+    """A text in eight languages is not cut to six."""
+    r = random.Random(4)
+    letters = ["bcd", "fgh", "jkl", "mnp", "qrs", "tvw", "xyz", "aei"]
+    text = lambda k: " ".join("".join(r.choice(letters[k]) for _ in range(6)) for _ in range(60))
+    counts = np.array([np.bincount(language.grams(" ".join(text(k) for _ in range(20))), minlength=language.BUCKETS) for k in range(8)])
+    model = language.Model([f"l{k}" for k in range(8)], counts)
+    theta = model.mixture(np.array([model.profile(" ".join(text(k) for k in range(8)))]))[0]
+    assert (theta > 0.05).sum() == 8
+
+
 def test_vectors(spark):
     r = np.random.default_rng(5)
     base = r.standard_normal((150, 16))

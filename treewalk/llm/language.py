@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from .common import bites
 from .sampling import bounded, remainder
 
-BUCKETS, LEVELS, STEP, ROUNDS, OVERLAP, MINOR = 1 << 15, 7, 0.7, 10, 3, 0.03
+BUCKETS, LEVELS, STEP, ROUNDS, OVERLAP = 1 << 15, 7, 0.7, 10, 3
 _FOLD = np.array([c + 32 if 65 <= c <= 90 else c if 97 <= c <= 122 or c >= 128 else 32 for c in range(256)], np.uint32)
 
 
@@ -66,8 +66,8 @@ class Model:
     def mixture(self, c: np.ndarray) -> np.ndarray:
         """Proportions of each language for each row of profile counts ``c``.
 
-        Sets of one language need no iteration; larger ones are fitted where the full mixture
-        gives a second language some weight.
+        Sets of every size are fitted, each of the languages with most weight in the full mixture;
+        those of one language need no iteration.
         """
         c, n = c.astype(np.float32), len(self.langs)
         full, _ = self._em(c, np.full((len(c), n), 1 / n, np.float32))
@@ -75,17 +75,13 @@ class Model:
         rank = np.argsort(order, axis=1, kind="stable")
         kept = (rank == 0).astype(np.float32)
         best = self._em(c, kept, 0)[1] / OVERLAP
-        rows = np.flatnonzero(np.sort(full, axis=1)[:, -2] > MINOR) if n > 1 else np.zeros(0, np.int64)
         size = np.log(np.maximum(c.sum(1) / OVERLAP, 2))  # neighbouring strings overlap
-        for k in range(2, min(n, 6) + 1):
-            if not len(rows):
-                break
-            start = full[rows] * (rank[rows] < k) + 1e-6 * (rank[rows] < k)
-            theta, fit = self._em(c[rows], start / start.sum(1, keepdims=True))
-            value = fit / OVERLAP - 0.5 * (k - 1) * size[rows]
-            better = value > best[rows]
-            best[rows[better]], kept[rows[better]] = value[better], theta[better]
-            rows = rows[better]
+        for k in range(2, n + 1):
+            start = full * (rank < k) + 1e-6 * (rank < k)
+            theta, fit = self._em(c, start / start.sum(1, keepdims=True))
+            value = fit / OVERLAP - 0.5 * (k - 1) * size
+            better = value > best
+            best[better], kept[better] = value[better], theta[better]
         return kept
 
 
