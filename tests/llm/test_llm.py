@@ -139,15 +139,15 @@ def _suffix_brute(rows):
     return out
 
 
-@pytest.mark.parametrize("hot", [suffix_dedup.HOT, 3])
-def test_suffix_brute_force(spark, docs, empty, awkward, hot):
+@pytest.mark.parametrize("crowd", [suffix_dedup.CROWD, 2])
+def test_suffix_brute_force(spark, docs, empty, awkward, crowd):
     r = random.Random(8)
     text = lambda n: "".join(r.choice("abcdefgh é") for _ in range(n))
     p, q = text(260), text(170)
     extra = [(100 + k, t) for k, t in enumerate([text(300) + p + text(50), text(20) + p[:230] + text(400), p[30:] + text(10), q + text(100), text(10) + q, text(90) + p[5:215] + text(9), *[text(30) + p + text(40) for _ in range(6)]])]
     rows = ROWS + extra
     d = spark.createDataFrame([(i, t) for i, t in rows], "doc_id long, text string").repartition(3)
-    got = {x.doc_id: (x.n_bytes, x.n_removed, x.n_spans, x.kept_sha256) for x in suffix_dedup.digests(d, hot).collect()}
+    got = {x.doc_id: (x.n_bytes, x.n_removed, x.n_spans, x.kept_sha256) for x in suffix_dedup.digests(d, crowd).collect()}
     assert got == _suffix_brute(rows)
     assert suffix_dedup.digests(empty).count() == 0 and suffix_dedup.digests(awkward).count() == 3
     assert suffix_dedup.clean(docs).columns == docs.columns

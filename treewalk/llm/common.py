@@ -48,6 +48,12 @@ def cut(df: DataFrame, what: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def fresh_name(df: DataFrame, base: str) -> str:
+    """A column name like ``base`` that ``df`` does not have, whatever the case."""
+    taken = {c.lower() for c in df.columns}
+    return next(n for n in (f"_{base}{k or ''}" for k in range(len(taken) + 1)) if n not in taken)
+
+
 def parts(spark: SparkSession) -> int:
     """Number of partitions for an explicit exchange; follows the session's setting."""
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
