@@ -104,8 +104,59 @@ def test_simhash_brute_force(docs, empty, awkward):
     for i in fp:
         assert got[i].fingerprint == f"{fp[i]:016x}" and got[i].component_id == comp[i]
     assert simhash.group(empty).count() == 0 and simhash.group(awkward).count() == 3
-    kept = {r.doc_id for r in simhash.representatives(docs).collect()}
-    assert kept == {i for i in fp if comp[i] == i} and simhash.representatives(awkward).count() >= 1
+
+
+def _jaccard(a, b):
+    s, t = ({tuple(x[k : k + 5]) for k in range(len(x) - 4)} for x in (a.lower().split(), b.lower().split()))
+    return len(s & t) / len(s | t)
+
+
+def test_simhash_representatives(spark, empty):
+    """Copies with scattered changes at five-word similarities of 0.8 and more go; others stay."""
+    r = random.Random(12)
+    rows, copies = [], []
+    for k in range(120):
+        base = [f"w{r.randint(0, 400)}" for _ in range(r.randint(80, 300))]
+        rows.append((k, " ".join(base)))
+        for c in range(2):
+            changed = list(base)
+            for i in r.sample(range(len(base)), max(1, len(base) // 60)):
+                changed[i] = "other" + str(r.random())
+            text = " ".join(changed).upper()
+            if _jaccard(rows[k][1], text) >= 0.8:
+                copies.append((1000 + 2 * k + c, text))
+    crowd = [f"c{i}" for i in range(200)]
+    crowded = [(2000 + k, " ".join([*crowd[:50], f"x{k}", *crowd[50:]])) for k in range(150)]
+    d = spark.createDataFrame([(i, t, 5, 6) for i, t in rows + copies + crowded], "doc_id long, text string, _kept int, _row int").repartition(3)
+    out = simhash.representatives(d)
+    kept = {x.doc_id for x in out.collect()}
+    assert out.columns == d.columns and len(copies) > 100
+    assert kept >= set(range(120)) and 2000 in kept and len([i for i in kept if i >= 2000]) == 1
+    assert len([i for i, _ in copies if i in kept]) <= 0.1 * len(copies)
+    twice = spark.createDataFrame([(None, "some words here", 1), (1, "more words", 1), (1, "more words", 2), (1, None, 3), (2, "", 4)], "doc_id long, text string, _row int")
+    assert sorted(x._row for x in simhash.representatives(twice).collect()) in ([1, 1, 3], [1, 2, 3], [1, 1, 4], [1, 2, 4])
+    assert simhash.representatives(empty).count() == 0
+
+
+@pytest.mark.parametrize("n", [30, 400])
+def test_simhash_wide_bucket(n):
+    g = np.random.default_rng(n)
+    base = g.integers(0, 1 << 63, (3, 2), dtype=np.uint64)
+    f = base[g.integers(0, 3, n)] ^ (np.uint64(1) << g.integers(0, 63, (n, 2)).astype(np.uint64)) ^ (np.uint64(1) << g.integers(0, 63, (n, 2)).astype(np.uint64))
+    home = g.random(n) < 0.7
+    far = np.bitwise_count(f[:, None] ^ f[None]).sum(2)
+    for limit in (3, 6):
+        child, parent = simhash.link_wide(f, home, limit)
+        a, b = np.nonzero((far <= limit) & home[:, None])
+        want, got = np.arange(n), np.arange(n)
+        for label, (x, y) in ((want, (a, b)), (got, (child, parent))):
+            for _ in range(n):
+                before = label.copy()
+                np.minimum.at(label, x, label[y])
+                np.minimum.at(label, y, label[x])
+                if np.array_equal(before, label):
+                    break
+        assert np.array_equal(want, got)
 
 
 @pytest.mark.parametrize("n", [20, 200])

@@ -1,16 +1,24 @@
 """SimHash near-duplicate grouping with anchor points of covering codes.
 
 Two fingerprints at ``d`` or fewer differing bits are found without comparing all pairs.  The
-64 bits are cut into blocks with thresholds that sum to at least ``d - blocks + 1``, so that any
-such pair is within the threshold of at least one block.  For a block the words of a covering
-code are the anchors: each block value lies within the covering radius of one anchor at least,
-and every fingerprint is replicated to all anchors within radius plus threshold.  A pair that
-is within the block's threshold then meets at the anchor next to either of them.  Used here,
-for ``d = 2``: a block of 31 bits with the perfect one-error-correcting code (radius 1,
-threshold 1, 16 replicas and the anchor itself) and a block of 33 bits with all values as
-anchors (radius 0, threshold 0).  Only distinct fingerprints are replicated; links come out of
-an anchor's bucket as a forest, never as all pairs, and large buckets are linked through their
-one-bit neighbours, which needs no pairwise comparison at all.
+bits are cut into blocks with a threshold each.  For a block the words of a covering code are
+the anchors: each block value lies within the covering radius of one anchor at least, and every
+fingerprint is replicated to all anchors within radius plus threshold.  A pair that is within the
+block's threshold then meets at the anchor next to either of them.  The codes are the perfect
+one-error-correcting ones, of 31 and of 15 bits (radius 1, threshold 1).
+
+``group``: 64 bits, links at two or fewer differing bits.  Thresholds that sum to ``d - blocks + 1``
+make a block of every such pair fit: 31 bits with threshold 1, and 33 bits with all values as
+anchors and threshold 0.  No link is lost.
+
+``representatives``: five-word shingles at a similarity of 0.8 or more, read from 128 bits.  Such
+pairs differ in a seventh of all bits, where no code of useful size covers all pairs; there are eight
+blocks of 15 bits with threshold 1, of which a pair at similarity 0.8 (0.85, 0.9) meets in one with
+a chance of 0.95 (0.99, 0.998); linked neighbours give it others.  Each anchor compares in full the
+fingerprints next to it with those replicated to it.
+
+Only distinct fingerprints are replicated.  Links come out of an anchor's bucket as a forest, never
+as all pairs.
 
 Defined cases: null and empty texts have fingerprint zero and are linked like any other; very
 long texts are hashed whole; ties between bits (set in exactly half) give 0; repeated rows share
@@ -28,30 +36,45 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bites, cut, numbered, parts
+from .common import bites, cut, fresh_name, numbered, parts
 from .components import classes, forest
 
 _LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
-_LOCAL = 64
+_LOCAL, _PIVOTS = 64, 8
 
 
-def fingerprint(text: str, words: int = 3, seed: int = 42) -> int:
+def _shingles(text: str, words: int, seed: int) -> np.ndarray:
+    """Hashes of all shingles, repeats included."""
     w = (text or "").encode().translate(_LOWER).split()
     if not w:
-        return 0
+        return np.zeros(0, np.uint64)
     if len(w) < words:
-        return xxhash.xxh64_intdigest(b" ".join(w), seed)
+        return np.array([xxhash.xxh64_intdigest(b" ".join(w), seed)], np.uint64)
     flat = b" ".join(w)
     ends = np.cumsum(np.fromiter(map(len, w), np.int64, len(w))) + np.arange(len(w))
     starts = [0, *(ends[:-1] + 1).tolist()]
     digest = xxhash.xxh64_intdigest
-    h = np.array([digest(flat[a:b], seed) for a, b in zip(starts, ends[words - 1 :].tolist())], np.uint64)
+    return np.array([digest(flat[a:b], seed) for a, b in zip(starts, ends[words - 1 :].tolist())], np.uint64)
+
+
+def _majority(h: np.ndarray) -> int:
     ones = np.zeros(64, np.int64)
     for i in range(0, len(h), 1 << 14):
         ones += np.unpackbits(h[i : i + (1 << 14)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
     return int(np.packbits(ones * 2 > len(h), bitorder="little").view(np.uint64)[0])
 
 
+def fingerprint(text: str, words: int = 3, seed: int = 42) -> int:
+    return _majority(_shingles(text, words, seed))
+
+
+def fingerprint_wide(text: str, words: int = 5, seed: int = 42) -> tuple[int, int]:
+    """128 bits: the second half from the same shingle hashes, scrambled."""
+    h = _shingles(text, words, seed)
+    other = (h ^ (h >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
+    return _majority(h), _majority(other ^ (other >> np.uint64(32)))
+
+
 def fingerprints(docs: DataFrame, words: int = 3, seed: int = 42) -> DataFrame:
     """``(doc_id, fp)`` with the 64 bits as a signed long."""
 
@@ -63,33 +86,28 @@ def fingerprints(docs: DataFrame, words: int = 3, seed: int = 42) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(kernel, "doc_id long, fp long")
 
 
-def _syndromes(v: np.ndarray) -> np.ndarray:
-    """Syndrome of each 31-bit value in the code whose check column of bit i is i + 1."""
-    s = np.zeros(len(v), np.uint64)
-    for i in range(31):
-        s ^= ((v >> np.uint64(i)) & np.uint64(1)) * np.uint64(i + 1)
-    return s
+def _near_words(value: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Words within distance 2 of each value in the perfect code of ``bits`` (2**k - 1) bits whose check
+    column of bit i is i + 1: the words, the row each comes from, and whether it is the nearest."""
+    s = np.zeros(len(value), np.uint64)
+    for i in range(bits):
+        s ^= ((value >> np.uint64(i)) & np.uint64(1)) * np.uint64(i + 1)
+    bit = lambda k: np.where(k > 0, np.uint64(1) << (np.maximum(k, np.uint64(1)) - np.uint64(1)), np.uint64(0))
+    rows, words = [np.arange(len(value))], [value ^ bit(s)]
+    # Distance 2: flip i and j with (i+1) ^ (j+1) == syndrome; none when the value is a word itself.
+    for i in range(1, bits + 1):
+        j = s ^ np.uint64(i)
+        ok = (s > 0) & (j > i)
+        rows.append(np.flatnonzero(ok))
+        words.append((value ^ np.uint64(1 << (i - 1)) ^ bit(j))[ok])
+    return np.concatenate(words), np.concatenate(rows), np.concatenate([np.ones(len(value), bool), *[np.zeros(len(r), bool) for r in rows[1:]]])
 
 
 def anchors(fp: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Anchor of each replica, and the row it comes from.  Anchors of the two blocks are told
     apart by their top bit."""
-    low = fp & np.uint64((1 << 31) - 1)
-    s = _syndromes(low)
-    rows, out = [], []
-    # Anchors within distance 2: the nearest (0 or 1 away), then those at distance 2.
-    bit = lambda k: np.where(k > 0, np.uint64(1) << (np.maximum(k, np.uint64(1)) - np.uint64(1)), np.uint64(0))
-    rows.append(np.arange(len(fp)))
-    out.append(low ^ bit(s))
-    # Distance 2: flip i and j with (i+1) ^ (j+1) == syndrome; none when the value is an anchor.
-    for i in range(1, 32):
-        j = s ^ np.uint64(i)
-        ok = (s > 0) & (j > i)
-        rows.append(np.flatnonzero(ok))
-        out.append((low ^ np.uint64(1 << (i - 1)) ^ bit(j))[ok])
-    rows.append(np.arange(len(fp)))
-    out.append((fp >> np.uint64(31)) | np.uint64(1 << 63))
-    return np.concatenate(out), np.concatenate(rows)
+    words, rows, _ = _near_words(fp & np.uint64((1 << 31) - 1), 31)
+    return np.concatenate([words, (fp >> np.uint64(31)) | np.uint64(1 << 63)]), np.concatenate([rows, np.arange(len(fp))])
 
 
 def _popcount(x: np.ndarray) -> np.ndarray:
@@ -124,33 +142,102 @@ def links(distinct: DataFrame, limit: int = 2) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(fp[row])], names=["anchor", "fp"])
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        keep_k, keep_f = np.zeros(0, np.int64), np.zeros(0, np.int64)
-        for b in _with_end(batches):
-            if b is None:
-                k, f, done = keep_k, keep_f, len(keep_k)
-            else:
-                k = np.concatenate([keep_k, b.column(0).to_numpy(zero_copy_only=False)])
-                f = np.concatenate([keep_f, b.column(1).to_numpy(zero_copy_only=False)])
-                done = int(np.flatnonzero(k != k[-1])[-1]) + 1 if len(k) and (k != k[-1]).any() else 0
-            if done:
-                edges = np.concatenate([[0], np.flatnonzero(np.diff(k[:done])) + 1, [done]])
-                child, parent = [], []
-                for lo, hi in zip(edges[:-1][np.diff(edges) > 1].tolist(), edges[1:][np.diff(edges) > 1].tolist()):
-                    c, p = link_bucket(f[lo:hi].view(np.uint64))
-                    if len(c):
-                        child.append(f[lo:hi][c])
-                        parent.append(f[lo:hi][p])
-                if child:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(child)), pa.array(np.concatenate(parent))], names=["a", "b"])
-            keep_k, keep_f = k[done:], f[done:]
+        for fp, *_ in _buckets(batches):
+            child, parent = link_bucket(fp.view(np.uint64))
+            if len(child):
+                yield pa.RecordBatch.from_arrays([pa.array(fp[child]), pa.array(fp[parent])], names=["a", "b"])
 
     replicas = distinct.select("fp").mapInArrow(spread, "anchor long, fp long")
     return replicas.repartition(parts(spark), "anchor").sortWithinPartitions("anchor").mapInArrow(compare, "a long, b long").distinct()
 
 
-def _with_end(batches):
-    yield from batches
-    yield None
+def _buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[list[np.ndarray]]:
+    """Columns after the first, for each run of two rows and more with one value of the first."""
+    held: list[list[np.ndarray]] = []
+    for b in batches:
+        cols = [c.to_numpy(zero_copy_only=False) for c in b.columns]
+        if not b.num_rows:
+            continue
+        edges = [0, *(np.flatnonzero(np.diff(cols[0])) + 1).tolist(), b.num_rows]
+        for lo, hi in zip(edges[:-1], edges[1:]):
+            if held and held[-1][0][0] != cols[0][lo]:
+                if sum(len(h[0]) for h in held) > 1:
+                    yield [np.concatenate(c) for c in list(zip(*held))[1:]]
+                held = []
+            held.append([c[lo:hi] for c in cols])
+    if sum(len(h[0]) for h in held) > 1:
+        yield [np.concatenate(c) for c in list(zip(*held))[1:]]
+
+
+def link_wide(f: np.ndarray, home: np.ndarray, limit: int) -> tuple[np.ndarray, np.ndarray]:
+    """Forest of the links between rows of ``f`` (two words each) and those in ``home``.
+
+    Rows near a pivot are one class at once and are compared only with rows outside it, so a crowd of
+    copies costs no square.
+    """
+    n, held = len(f), np.flatnonzero(home)
+    if not len(held):
+        return held, held
+    far = lambda i, j: _popcount(f[i, 0][:, None] ^ f[j, 0]) + _popcount(f[i, 1][:, None] ^ f[j, 1])
+    of, a, b = np.full(n, -1), [], []
+    for _ in range(_PIVOTS):
+        free = held[of[held] < 0]
+        if len(free) <= _LOCAL:
+            break
+        near = np.flatnonzero(far(free[:1], np.arange(n))[0] <= limit)
+        of[near[of[near] < 0]] = free[0]
+        a.append(np.full(len(near), free[0]))
+        b.append(near)
+    for g in np.unique(of[held]).tolist():
+        mine, others = held[of[held] == g], np.flatnonzero(of != g) if g >= 0 else np.arange(n)
+        step = max(1, 2_000_000 // max(len(others), 1))
+        for lo in range(0, len(mine) if len(others) else 0, step):
+            i, j = np.nonzero(far(mine[lo : lo + step], others) <= limit)
+            child, parent = forest(n, mine[lo + i], others[j])
+            a.append(child)
+            b.append(parent)
+    return forest(n, np.concatenate(a), np.concatenate(b)) if a else (held[:0], held[:0])
+
+
+def link_limit(similarity: float, bits: int = 128) -> int:
+    """Differing bits that five of six pairs at a Jaccard similarity stay within: the expected
+    share of their angle, and one standard deviation."""
+    share = np.arccos(2 * similarity / (1 + similarity)) / np.pi
+    return int(bits * share + np.sqrt(bits * share * (1 - share)))
+
+
+def similar(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> DataFrame:
+    """``(row, least)`` for ``docs (row, text)``: the least row of each one's class."""
+    spark, limit = docs.sparkSession, link_limit(similarity)
+
+    def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for piece, texts in bites(batches, "text"):
+            f = np.array([fingerprint_wide(t, words) for t in texts], np.uint64).reshape(-1, 2).view(np.int64)
+            yield pa.RecordBatch.from_arrays([piece.column(0), pa.array(f[:, 0]), pa.array(f[:, 1])], names=["row", "f0", "f1"])
+
+    def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for lo in range(0, b.num_rows, 4096):
+                node, f0, f1 = (c.to_numpy(zero_copy_only=False) for c in b.slice(lo, 4096).columns)
+                for block in range(8):
+                    half = (f0, f1)[block // 4].view(np.uint64)
+                    word, at, home = _near_words((half >> np.uint64(16 * (block % 4))) & np.uint64(0x7FFF), 15)
+                    yield pa.RecordBatch.from_arrays([pa.array((word | np.uint64(block << 16)).view(np.int64)), pa.array(node[at]), pa.array(f0[at]), pa.array(f1[at]), pa.array(home)], names=["anchor", "node", "f0", "f1", "home"])
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for node, f0, f1, home in _buckets(batches):
+            child, parent = link_wide(np.stack([f0, f1], 1).view(np.uint64), home.astype(bool), limit)
+            if len(child):
+                yield pa.RecordBatch.from_arrays([pa.array(node[child]), pa.array(node[parent])], names=["a", "b"])
+
+    fps = cut(docs.select("row", "text").mapInArrow(hashed, "row long, f0 long, f1 long"), "simhash-wide")
+    distinct = fps.groupBy("f0", "f1").agg(F.min("row").alias("node"))
+    replicas = distinct.select("node", "f0", "f1").mapInArrow(spread, "anchor long, node long, f0 long, f1 long, home boolean")
+    met = replicas.repartition(parts(spark), "anchor").sortWithinPartitions("anchor").mapInArrow(compare, "a long, b long")
+    found = classes(cut(met.distinct(), "simhash-wide-links"))
+    least = found.groupBy("root").agg(F.min("node").alias("least"))
+    named = distinct.join(found.join(least, "root").select("node", "least"), "node", "left").select("f0", "f1", F.coalesce("least", "node").alias("least"))
+    return fps.join(named, ["f0", "f1"]).select("row", "least")
 
 
 def group(docs: DataFrame, words: int = 3, limit: int = 2, seed: int = 42) -> DataFrame:
@@ -163,12 +250,17 @@ def group(docs: DataFrame, words: int = 3, limit: int = 2, seed: int = 42) -> Da
     return fps.join(named, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-def representatives(docs: DataFrame, words: int = 3, limit: int = 2, seed: int = 42) -> DataFrame:
-    """Rows of ``docs``, with all their columns: the first document of each group by ``doc_id``."""
-    rows, names = numbered(docs)
-    if names is None:
-        kept = group(docs, words, limit, seed).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id")
-        return docs.join(kept.withColumnRenamed("doc_id", "_kept"), docs["doc_id"] == F.col("_kept"), "left_semi")
-    fixed = cut(docs.withColumn("_row", F.monotonically_increasing_id()), "simhash-rows")
-    kept = group(fixed.select(F.col("_row").alias("doc_id"), "text"), words, limit, seed).where("doc_id = component_id").select(F.col("doc_id").alias("_row"))
-    return fixed.join(kept, "_row", "left_semi").drop("_row")
+def representatives(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> DataFrame:
+    """Rows of ``docs``, with all their columns: the first document of each group by ``doc_id``.
+
+    Where ids are null or repeated, rows are told apart and the first is the first in number; names of
+    its own avoid those of the table.
+    """
+    fixed, key = docs, "doc_id"
+    if numbered(docs)[1] is not None:
+        key = fresh_name(docs, "row")
+        fixed = cut(docs.withColumn(key, F.monotonically_increasing_id()), "simhash-rows")
+    rows = fixed.select(F.col(key).cast("long").alias("row"), F.col("text").cast("string").alias("text"))
+    name = fresh_name(fixed, "kept")
+    kept = similar(rows, words, similarity).where("row = least").select(F.col("row").alias(name))
+    return fixed.join(kept, F.col(key).cast("long") == F.col(name), "left_semi").select(*docs.columns)
