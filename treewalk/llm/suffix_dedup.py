@@ -42,7 +42,7 @@ LENGTH, GRAM = 200, 64
 LEFT = LENGTH - GRAM
 #: Rows per sort; bytes and anchors held while hashing; anchors sampled at least and for each
 #: partition, and how many of them with one key and different contexts make it common.
-BUCKET_ROWS, BLOCK, HELD, SAMPLE, SAMPLE_EACH, CROWD = 20_000, 1 << 21, 400_000, 20_000, 400, 20
+BUCKET_ROWS, BLOCK, HELD, SAMPLE, SAMPLE_EACH, CROWD = 20_000, 1 << 19, 200_000, 20_000, 400, 20
 _SINGLE, _MANY, _KNOWN = 0, 1, 2
 _P1, _P2 = _Powers(_B1), _Powers(_B2)
 _MIX, _MIX2 = np.uint64(0xD6E8FEB86659FD93), np.uint64(0xA0761D6478BD642F)

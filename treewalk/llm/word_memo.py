@@ -50,7 +50,7 @@ class _Powers:
 
     def get(self, n: int) -> tuple[np.ndarray, np.ndarray]:
         if len(self.up) < n:
-            size = max(n, 1 << 21)
+            size = max(n, 2 * len(self.up), 1 << 16)
             self.up, self.down = np.full(size, self.base, np.uint64), np.full(size, self.inv, np.uint64)
             self.up[0] = self.down[0] = 1
             np.cumprod(self.up, out=self.up)
