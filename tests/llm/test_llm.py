@@ -323,11 +323,28 @@ def test_vector_links_across_shards(spark):
     x = r.standard_normal((1500, 8))
     x = np.concatenate([x, x[:500] + 0.35 * r.standard_normal((500, 8))])
     d = spark.createDataFrame([(k, v.tolist(), 1) for k, v in enumerate(x)], "vec_id long, embedding array<double>, label int").repartition(3)
-    got = {g.vec_id: g.n_links for g in vector_graph.link(d, slice_size=60)[0].collect()}
+    got = {g.vec_id: g.n_links for g in vector_graph.link(d, slice_size=60, share=1.0)[0].collect()}
     u = x / np.linalg.norm(x, axis=1, keepdims=True)
     assert [got[k] for k in range(len(x))] == ((u @ u.T >= 0.9).sum(1) - 1).tolist()
 
 
+def test_vector_leaves_and_calibration(spark):
+    """Shards with leaves of their own, with the full bound: no link lost.  Calibrated routing over
+    sets of few and of many dimensions: the audit's recall holds against brute force."""
+    r = np.random.default_rng(9)
+    flat = r.standard_normal((1200, 8))
+    tight = np.concatenate([r.standard_normal((900, 64)), np.repeat(r.standard_normal((30, 64)), 10, 0) + 0.1 * r.standard_normal((300, 64))])
+    for x in (flat, tight):
+        d = spark.createDataFrame([(k, v.tolist(), 1) for k, v in enumerate(x)], "vec_id long, embedding array<double>, label int").repartition(3)
+        u = x / np.linalg.norm(x, axis=1, keepdims=True)
+        truth = (u @ u.T >= 0.9).sum(1) - 1
+        got = {g.vec_id: g.n_links for g in vector_graph.link(d, slice_size=60, share=1.0, max_shards=5)[0].collect()}
+        assert [got[k] for k in range(len(x))] == truth.tolist()
+        out = vector_graph.link(d, slice_size=60)[0].collect()
+        got = {g.vec_id: g.n_links for g in out}
+        assert out[0].audit_recall >= 0.99 and sum(got.values()) >= 0.99 * truth.sum() > 0
+
+
 def test_revisits(spark):
     schema = "record_id long, record_type string, url string, ts long, status int, etag string, last_modified string, headers map<string,string>, extra int"
     rows = [
