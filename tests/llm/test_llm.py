@@ -65,6 +65,24 @@ def test_chunk_joins_are_repaired(spark, monkeypatch):
         assert r.n_joins > 0 and r.ids_sha256 == hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest()
 
 
+def test_chunks_of_shared_passages_are_reused(spark):
+    """A passage that different texts share is cut and encoded alike in all of them."""
+    r = random.Random(5)
+    prose = lambda n: " ".join("".join(r.choice("abcdefgh") for _ in range(r.randint(2, 9))) for _ in range(n))
+    passage = prose(1500)
+    texts = [prose(r.randint(50, 400)) + " " + passage + " " + prose(r.randint(50, 400)) for _ in range(12)]
+    d = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "doc_id long, text string").repartition(4)
+    got = chunk_bpe.reuse(d).first()
+    assert got.shared_chunks >= 2 and got.distinct_chunks < 0.8 * got.chunks
+    real = chunk_bpe.reuse(spark.read.parquet("/root/testdata/sf0.1/documents.parquet")).first()
+    assert real.shared_chunks > 0 and real.distinct_chunks < real.chunks
+    path = public.path("word_bpe_49k.json")
+    tok = tokenizers.Tokenizer.from_file(path)
+    for x in chunk_bpe.digests(d, path).collect():
+        ids = tok.encode(texts[x.doc_id], add_special_tokens=False).ids
+        assert x.n_joins > 0 and x.ids_sha256 == hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest()
+
+
 def test_token_files_round_trip(spark, docs, empty, awkward):
     path = public.path("byte_bpe_50k.json")
     tok = tokenizers.Tokenizer.from_file(path)
@@ -214,10 +232,28 @@ def test_decontamination(spark, docs, empty, awkward):
     got = {r.doc_id: (r.contaminated, list(r.item_ids)) for r in decontaminate.flag(d, b).collect()}
     assert got == {0: (True, [7]), 1: (True, [7]), 2: (False, []), 3: (False, []), 4: (False, []), 5: (True, [8]), 6: (False, [])}
     assert {r.doc_id for r in decontaminate.clean(d, b).collect()} == {2, 3, 4, 6}
+    own = spark.createDataFrame([(None, item, 1), (None, "clean text", 2), (3, item, 3), (3, "clean text too", 4)], "doc_id long, text string, _row int")
+    assert sorted((x.doc_id or 0, x.contaminated) for x in decontaminate.flag(own, b).collect()) == [(0, False), (0, True), (3, False), (3, True)]
+    assert sorted(x._row for x in decontaminate.clean(own, b).collect()) == [2, 4]
     none = spark.createDataFrame([], "item_id long, text string")
     assert decontaminate.flag(d, none).where("contaminated").count() == 0 and decontaminate.flag(empty, b).count() == 0 and decontaminate.flag(awkward, b).count() == 3
 
 
+def test_decontamination_oracle(spark):
+    """The registered query against its SQL, with planted passages that hold changed words."""
+    import duckdb
+
+    from treewalk.llm import queries
+
+    sf = "/root/testdata/sf0.001"
+    con = duckdb.connect()
+    for t in ("documents", "benchmark"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
+    want = sorted(con.execute(decontaminate.ORACLE).fetchall())
+    got = sorted(tuple(r) for r in queries.op5_decontaminate(spark, sf).collect())
+    assert got == want and any(r[1] for r in got)
+
+
 @pytest.mark.parametrize("n", [13, 14])
 def test_decontamination_replacements(spark, n):
     """Items of 13 and 14 words with one to three words replaced, against the verifier alone."""

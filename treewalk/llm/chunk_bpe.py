@@ -2,6 +2,8 @@
 
 1. A rolling hash over 32 characters cuts each text where the hash has given low bits, so equal
    passages in different documents yield equal chunks.
+   Chunks have some thousand characters, so a passage of that length that documents share is
+   mostly encoded once; ``reuse`` reports how many are.
 2. Chunks meet by content hash and each distinct chunk is encoded once.  Within an input slice
    equal chunks are one row already; a chunk that a slice holds many times is dealt out over
    ``SPREAD`` places, so that a passage found in a third of all documents is no single task's.
@@ -28,11 +30,12 @@ import pyarrow as pa
 import pyarrow.compute as pc
 import zstandard
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from .common import bites, numbered, parts, renamed
 from .word_memo import encoder
 
-MEAN, LEAST, MOST, SPREAD, MANY = 8192, 512, 65536, 64, 4
+MEAN, LEAST, MOST, SPREAD, MANY = 1024, 256, 65536, 64, 4
 ALONE = -1  # place of the only chunk of a document
 _GAP = re.compile(r"[ \t\n\r]")
 
@@ -217,6 +220,15 @@ def _run(docs: DataFrame, tokenizer: str, kind: str, finish, schema: str) -> Dat
     return renamed(_assembled(_encoded(_chunks(rows), tokenizer, kind, finish, schema), tokenizer, kind, finish, schema), names)
 
 
+def reuse(docs: DataFrame) -> DataFrame:
+    """One row ``(chunks, distinct_chunks, shared_chunks)``: chunks of all distinct texts, how many
+    are left when each is encoded once, and how many of these stand in more than one text."""
+    texts = docs.select(F.col("text").cast("string").alias("text")).where("text IS NOT NULL").distinct()
+    rows = texts.select(F.monotonically_increasing_id().alias("row"), "text")
+    by_key = _chunks(rows).groupBy("key").agg(F.sum(F.size("rows")).alias("n"))
+    return by_key.agg(F.sum("n").alias("chunks"), F.count(F.lit(1)).alias("distinct_chunks"), F.count_if(F.col("n") > 1).alias("shared_chunks"))
+
+
 def encode(docs: DataFrame, tokenizer: str, kind: str = "word") -> DataFrame:
     """``(doc_id, ids, n_joins, n_repaired)``."""
     return _run(docs, tokenizer, kind, lambda enc: lambda ids, joins, changed: (ids.astype(np.int32), joins, changed), "ids array<int>, n_joins long, n_repaired long")

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from . import chunk_bpe, decontaminate, language, quality, revisit, simhash, suffix_dedup, token_file, toxicity, vector_graph
 from .common import table
@@ -32,7 +33,8 @@ def op4_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return decontaminate.flag(table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "benchmark", "item_id", "text"))
+    found = decontaminate.flag(table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "benchmark", "item_id", "text"))
+    return found.withColumn("item_ids", F.array_join("item_ids", ","))
 
 
 def op6_language_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -61,4 +63,4 @@ def queries() -> dict:
     return {k: f for k, f in globals().items() if k.startswith("op") and k[2].isdigit()}
 
 
-ORACLES: dict[str, str] = {"op2_warc_revisit": revisit.ORACLE}
+ORACLES: dict[str, str] = {"op2_warc_revisit": revisit.ORACLE, "op5_decontaminate": decontaminate.ORACLE}

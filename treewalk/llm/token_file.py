@@ -185,7 +185,7 @@ def write(docs: DataFrame, tokenizer: str, out: str, end_id: int = 0, kind: str
             fs.move(draft, path)
             yield pa.RecordBatch.from_pylist([{"part": part, "path": f"{out}/part-{part:06d}.s8b", "n_docs": n_docs, "n_tokens": n_tokens}])
 
-    ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).repartitionByRange(parts(spark), "doc_id").sortWithinPartitions("doc_id")
+    ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).repartitionByRange(parts(spark), "doc_id").sortWithinPartitions("doc_id", "text")
     files = ordered.mapInArrow(save, "part long, path string, n_docs long, n_tokens long").collect()  # a row per file
     rows, start = [], 0
     for r in sorted(files, key=lambda r: r.part):
