@@ -12,9 +12,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir`` of the session; a temporary folder only where it is unset."""
+    """``spark.checkpoint.dir`` of the session.  Where it is unset, as in tests, a temporary folder, but only
+    if driver and executors are one machine."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("treewalk.scratch.dir", None)
     if not found:
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
         found = "file://" + tempfile.mkdtemp(prefix="treewalk-")
         spark.conf.set("treewalk.scratch.dir", found)
     return found

@@ -11,7 +11,8 @@ from pyspark.sql import functions as F
 
 from . import rng
 
-PRIME = 2**31 - 1  # products of two residues fit a long
+#: Products of two residues fit a long below the first prime, a decimal below the second.
+PRIME, WIDE_PRIME = 2**31 - 1, 2**61 - 1
 
 
 @dataclass(frozen=True)
@@ -21,27 +22,35 @@ class PolyHash:
     coeffs: tuple[int, ...]
     buckets: int
     k: int
+    prime: int = PRIME
 
     def column(self, v: Column, j: Column) -> Column:
-        x = F.pmod(v * F.lit(self.k) + j - 1, F.lit(PRIME))
-        h = F.lit(0).cast("long")
+        if self.prime == PRIME:
+            x = F.pmod(F.pmod(v, F.lit(PRIME)) * F.lit(self.k) + j - 1, F.lit(PRIME))
+            h = F.lit(0).cast("long")
+            for c in reversed(self.coeffs):
+                h = F.pmod(h * x + F.lit(c), F.lit(PRIME))
+            return F.pmod(h, F.lit(self.buckets))
+        kind, p = "decimal(19,0)", F.lit(self.prime).cast("decimal(19,0)")
+        x = F.pmod(F.pmod(v.cast(kind), p) * F.lit(self.k).cast("decimal(10,0)") + (j - 1).cast(kind), p).cast(kind)
+        h = F.lit(0).cast(kind)
         for c in reversed(self.coeffs):
-            h = F.pmod(h * x + F.lit(c), F.lit(PRIME))
-        return F.pmod(h, F.lit(self.buckets))
+            h = F.pmod((h * x).cast("decimal(38,0)") + F.lit(c).cast(kind), p).cast(kind)
+        return F.pmod(h, F.lit(self.buckets).cast(kind)).cast("long")
 
     def sql(self, v: str, j: str) -> str:
-        x = f"((({v}) * {self.k} + ({j}) - 1) % {PRIME})"
-        h = "0::BIGINT"
+        x = f"((({v})::HUGEINT * {self.k} + ({j}) - 1) % {self.prime})"
+        h = "0::HUGEINT"
         for c in reversed(self.coeffs):
-            h = f"(({h}) * {x} + {c}) % {PRIME}"
-        return f"(({h}) % {self.buckets})"
+            h = f"(({h}) * {x} + {c}) % {self.prime}"
+        return f"(({h}) % {self.buckets})::BIGINT"
 
     def pandas(self, v: pd.Series, j: pd.Series) -> pd.Series:
-        x = (v * self.k + j - 1) % PRIME
+        x = ((v.astype(object) * self.k + j - 1) % self.prime).astype(object)
         h = x * 0
         for c in reversed(self.coeffs):
-            h = (h * x + c) % PRIME
-        return h % self.buckets
+            h = (h * x + c) % self.prime
+        return (h % self.buckets).astype("int64")
 
 
 def independence(n: int, c: float = 1.0) -> int:
@@ -50,5 +59,7 @@ def independence(n: int, c: float = 1.0) -> int:
 
 
 def poly_family(t: int, n: int, k: int, seed: int) -> PolyHash:
-    """A member of the family, its ``t`` coefficients drawn from the seed."""
-    return PolyHash(tuple(rng.py_bits(seed, "coeff", i) % PRIME for i in range(t)), n, k)
+    """A member of the family, its ``t`` coefficients drawn from the seed; the prime is above n * k,
+    as independence of all (vertex number, index) needs."""
+    prime = PRIME if n * k < PRIME else WIDE_PRIME
+    return PolyHash(tuple((rng.py_bits(seed, "coeff", i) if prime == PRIME else rng.py_bits(seed, "coeff", i) << 9 | rng.py_bits(seed, "low", i) % 512) % prime for i in range(t)), n, k, prime)

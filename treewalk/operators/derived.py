@@ -62,10 +62,15 @@ def absorbing_chain(a: DataFrame, keep: DataFrame) -> DataFrame:
     return walking.union(ending)
 
 
-def shortcut_absorbing(a: DataFrame, keep: DataFrame, bits: int = linalg.BITS, delta: float = 1e-6, max_levels: int = 60) -> tuple[DataFrame, int]:
+def shortcut_absorbing(a: DataFrame, keep: DataFrame, bits: int = linalg.BITS, delta: float = 1e-6, max_levels: int = 60, n: int | None = None) -> tuple[DataFrame, int]:
     """Shortcut matrix ``(i, j, x)``: from ``i``, the vertex just before the kept set is next entered.
-    Squares the doubled chain until at most ``delta`` is still walking.  Also the squarings used."""
+    Squares the doubled chain until at most ``delta`` is still walking.  Also the squarings used.
+    With a number of vertices ``n`` whose doubled chain fits a tile all of it is one task's work."""
     one = 1 << bits
+    if n is not None and 2 * n <= linalg.TILE and (bits <= 31 or bits == linalg.FINE):
+        done = cut(_absorbed_in_task(absorbing_chain(a, keep), bits, delta, max_levels), "absorb")
+        level = done.agg(F.max("level")).first()[0] or 0
+        return done.select("i", "j", "x"), level
     done = a.select("i").distinct().select((F.col("i") + OTHER).alias("i"), (F.col("i") + OTHER).alias("j"), F.lit(one).cast("long").alias("x"))
     m = cut(absorbing_chain(a, keep).union(done), "absorb")
     for level in range(max_levels):
@@ -77,6 +82,25 @@ def shortcut_absorbing(a: DataFrame, keep: DataFrame, bits: int = linalg.BITS, d
     return q, level
 
 
+def _absorbed_in_task(chain: DataFrame, bits: int, delta: float, max_levels: int) -> DataFrame:
+    def run(pdf):
+        import pandas as pd
+
+        ids = np.unique(pdf.i)
+        n, at = len(ids), {v: k for k, v in enumerate(ids.tolist())}
+        m = np.zeros((2 * n, 2 * n), np.int64)
+        m[np.arange(n, 2 * n), np.arange(n, 2 * n)] = 1 << bits
+        m[[at[v] for v in pdf.i], [at[v] if v < OTHER else n + at[v - OTHER] for v in pdf.j]] = pdf.x
+        for level in range(max_levels):
+            if m[:n, :n].sum(1).max() <= delta * 2.0**bits:
+                break
+            m = linalg.exact_product(m, m, bits)
+        i, j = np.nonzero(m[:n, n:])
+        return pd.DataFrame({"i": ids[i], "j": ids[j], "x": m[:n, n:][i, j], "level": level})
+
+    return chain.groupBy(F.lit(0)).applyInPandas(run, "i long, j long, x long, level int")
+
+
 def self_return(shortcut: DataFrame, enter: DataFrame, keep: DataFrame, bits: int = linalg.BITS) -> DataFrame:
     """``(i, x)``: chance of the first kept vertex being ``i`` again."""
     x = linalg.matmul_floor(shortcut.join(keep.withColumnRenamed("vertex", "i"), "i", "left_semi").select("i", "j", "x"), enter, bits)
@@ -88,7 +112,7 @@ def schur_transition(shortcut: DataFrame, enter: DataFrame, keep: DataFrame, bit
     own = shortcut.join(keep.withColumnRenamed("vertex", "i"), "i", "left_semi").select("i", "j", "x")
     x = linalg.matmul_floor(own, enter, bits).where("i <> j")
     total = x.groupBy("i").agg(F.sum("x").alias("total"))
-    return x.join(total, "i").select("i", "j", F.expr(f"(x * {1 << bits}L) div total").alias("x"))
+    return x.join(total, "i").select("i", "j", linalg.scaled("x", "total", bits).alias("x"))
 
 
 def schur_dense(w: np.ndarray, keep: list[int]) -> np.ndarray:

@@ -14,21 +14,20 @@ from pyspark.sql import functions as F
 
 from ..ckpt import cut
 from ..functions import hashing, rng
+from .draws import bounds, pick
 
 
 def ranked(arcs: DataFrame) -> DataFrame:
     """Arcs with cumulative weight bounds at their start: ``(i, j, lo, hi, total)``."""
-    w = Window.partitionBy("i")
-    return arcs.withColumn("hi", F.sum("w").over(w.orderBy("j"))).withColumn("total", F.sum("w").over(w)).select("i", "j", (F.col("hi") - F.col("w")).alias("lo"), "hi", "total")
+    return bounds(arcs, ["i"], "j", "w").select("i", "j", "lo", "hi", "total")
 
 
 def init(arcs: DataFrame, k: int, seed: int) -> DataFrame:
     """``k`` random arcs of every vertex, by weight."""
     r = ranked(arcs)
-    stubs = r.select("i", "total").distinct().select(F.col("i").alias("src"), "total", F.explode(F.sequence(F.lit(1), F.lit(k))).alias("idx"))
-    stubs = stubs.withColumn("r", rng.below("total", seed, "stub", "src", "idx"))
-    hit = stubs.join(r.select("i", "j", "lo", "hi"), stubs["src"] == r["i"]).where("lo <= r AND r < hi")
-    return hit.select("src", F.col("idx").cast("long").alias("idx"), F.col("j").alias("endpoint"), F.lit(1).cast("long").alias("len"))
+    stubs = r.select("i").distinct().select("i", F.explode(F.sequence(F.lit(1), F.lit(k))).alias("idx"))
+    hit = pick(stubs, r, ["i"], "j", rng.below("total", seed, "stub", "i", "idx"))
+    return hit.select(F.col("i").alias("src"), F.col("idx").cast("long").alias("idx"), F.col("j").alias("endpoint"), F.lit(1).cast("long").alias("len"))
 
 
 def meeting(stubs: DataFrame, k: int, family: hashing.PolyHash) -> DataFrame:
@@ -112,7 +111,7 @@ def stepwise(arcs: DataFrame, starts: DataFrame, steps: int, seed: int) -> DataF
     now = starts.select("sample_id", F.lit(0).cast("long").alias("pos"), "vertex")
     every = now
     for t in range(1, steps + 1):
-        hit = now.join(r, now["vertex"] == r["i"]).withColumn("r", rng.below("total", seed, "step", "sample_id", F.lit(t))).where("lo <= r AND r < hi")
+        hit = pick(now.select("sample_id", F.col("vertex").alias("i")), r, ["i"], "j", rng.below("total", seed, "step", "sample_id", F.lit(t)))
         now = hit.select("sample_id", F.lit(t).cast("long").alias("pos"), F.col("j").alias("vertex"))
         if t % 8 == 0:
             now = cut(now, "walkers")

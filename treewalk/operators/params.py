@@ -25,6 +25,15 @@ def target_length(n: int, m: int, eps: float, rule: str = "cubic", weight: int =
     return 1 << max(0, math.ceil(math.log2(max(need, 1))))
 
 
+def precision(n: int, length: int, eps: float) -> int:
+    """Bits of an entry that keep the mass a row loses by ``length`` steps, times all phases, under a
+    third of ``eps``: 30 where that is enough, otherwise 60."""
+    need = math.log2(3 * phases_bound(n) * n * (2 * length - 1) / eps)
+    if need > 60:
+        raise ValueError(f"{need:.1f} bits are needed for {n} vertices and {length} steps; 60 is the most")
+    return 30 if need <= 30 else 60
+
+
 def matching_tv(eps: float, n: int, length: int) -> float:
     """Error allowed to one matching draw."""
     return eps / (4 * math.sqrt(n) * max(1.0, math.log2(length)))

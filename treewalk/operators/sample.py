@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -11,7 +12,7 @@ from pyspark.sql import functions as F
 
 from ..ckpt import cut
 from ..functions import rng
-from ..sources.graphs import Graph
+from ..sources.graphs import Graph, index_vertices
 from . import derived, doubling, graph as graphs, kernels, linalg, params, topdown, trees
 
 TREE = "sample_id long, child long, parent long, u long, v long"
@@ -19,17 +20,17 @@ CORE_LIMIT = 4000  # vertices of a core that is broadcast as a dense matrix
 
 
 def core(g: Graph, limit: int = CORE_LIMIT) -> tuple[list[int], np.ndarray]:
-    """Vertices and weight matrix of a small graph; the edge count is checked before it is collected."""
-    n = g.vertices.count()
-    if n > limit:
-        raise ValueError(f"{n} vertices are above the core bound of {limit}; reduce the graph first")
-    rows = g.edges.collect()
-    order = sorted({r.u for r in rows} | {r.v for r in rows})
-    at = {v: i for i, v in enumerate(order)}
+    """Vertices and weight matrix of a small graph.  Vertices and edges are counted before the edges come
+    to the driver, as columns."""
+    n, m = g.vertices.count(), g.edges.count()
+    if n > limit or m > limit * limit // 2:
+        raise ValueError(f"{n} vertices and {m} edges are above the core bound of {limit} vertices; reduce the graph first")
+    t = g.edges.select("u", "v", "w").toArrow()
+    u, v, x = (t.column(c).to_numpy() for c in ("u", "v", "w"))
+    order, at = np.unique(np.concatenate([u, v]), return_inverse=True)
     w = np.zeros((len(order), len(order)))
-    for r in rows:
-        w[at[r.u], at[r.v]] = w[at[r.v], at[r.u]] = r.w
-    return order, w
+    w[at[: len(u)], at[len(u) :]] = w[at[len(u) :], at[: len(u)]] = x
+    return order.tolist(), w
 
 
 def replicate(g: Graph, n_samples: int, method: str = "phased", seed: int = 42, tasks: int | None = None, **options) -> DataFrame:
@@ -54,10 +55,17 @@ def replicate(g: Graph, n_samples: int, method: str = "phased", seed: int = 42,
 
 
 def by_doubling(g: Graph, start: int, tau: int | None = None, seed: int = 42, balance: str = "hash", max_rounds: int = 40) -> DataFrame:
-    """Tree of doubled walks of length ``tau`` (default about n log n), joined end to end."""
-    n = g.vertices.count()
+    """Tree of doubled walks of length ``tau`` (default about n log n), joined end to end.  Vertices are
+    numbered first: the hash family is independent over numbers below n only."""
+    ids, dense = index_vertices(g)
+    ids = cut(ids, "ids")
+    n = ids.count()
     tau = tau or 1 << int(np.ceil(np.log2(max(2, n * np.log(n + 1)))))
-    arcs = cut(g.arcs, "arcs")
+    arcs = cut(dense.arcs, "arcs")
+    first = ids.where(F.col("vertex") == start).first()
+    if first is None:
+        raise ValueError(f"{start} is no vertex")
+    start = first.vid
     walk, end, offset = None, start, 0
     for k in range(max_rounds):
         part = doubling.walk_from(arcs, end, tau, seed + 1000 * k, balance)
@@ -65,48 +73,94 @@ def by_doubling(g: Graph, start: int, tau: int | None = None, seed: int = 42, ba
         walk = cut(part if walk is None else walk.union(part.where(F.col("pos") > offset)), "walk")
         facts = walk.agg(F.count_distinct("vertex").alias("n"), F.max("pos").alias("last"), F.max_by("vertex", "pos").alias("end")).first()
         if facts.n == n:
-            return trees.first_visit(walk)
+            t = trees.first_visit(walk).select("sample_id", "child", "parent")
+            for c in ("child", "parent"):
+                t = t.join(ids.select(F.col("vid").alias(c), F.col("vertex").alias(f"{c}_id")), c)
+            return t.select("sample_id", F.col("child_id").alias("child"), F.col("parent_id").alias("parent"), F.least("child_id", "parent_id").alias("u"), F.greatest("child_id", "parent_id").alias("v"))
         end, offset = facts.end, facts.last
     raise RuntimeError("the graph was not covered; is it connected?")
 
 
-def phased(g: Graph, start: int, eps: float = 0.01, seed: int = 42, rho: str = "sqrt", length: int = 0, bits: int = linalg.BITS, on_short: str = "arbitrary", delta: float = 1e-7) -> tuple[DataFrame, list[dict]]:
+@dataclass
+class Phase:
+    """State between phases of the sampler: what is visited, where the walk stands, the edges so far."""
+
+    start: int
+    end: int
+    visited: DataFrame
+    tree: DataFrame | None = None
+    number: int = 0
+    failed: bool = False
+
+
+def run_phase(state: Phase, arcs: DataFrame, vertices: DataFrame, a: DataFrame, n: int, goal: int, size: int, seed: int, bits: int, delta: float, place: str = "order", exact: bool = False) -> tuple[Phase, dict]:
+    """One phase: the derived graph over what is unvisited, a walk on it to the ``goal``-th vertex, and the
+    real edges that enter its new vertices.  ``exact``: further stretches of ``size`` steps until the goal."""
+    spark = arcs.sparkSession
+    active = cut(derived.active_set(vertices, state.visited, state.end), "active")
+    k = active.count()
+    shortcut, squarings, t = None, 0, a
+    if k < n:
+        shortcut, squarings = derived.shortcut_absorbing(a, active, bits, delta, n=n)
+        shortcut = cut(shortcut, "shortcut")
+        t = cut(derived.schur_transition(shortcut, derived.enter_matrix(arcs, active, bits), active, bits), "schur")
+    levels, want, lost = size.bit_length() - 1, min(goal, k), 0.0
+    if k == 2:  # one step is all there is; even powers would never leave the start
+        walk = cut(doubling.stepwise(t.withColumnRenamed("x", "w"), spark.createDataFrame([(0, state.end)], "sample_id long, vertex long"), 1, seed + state.number), "walk")
+    else:
+        ladder = linalg.power_ladder(t, levels, bits, k)
+        lost = linalg.lost_mass(ladder[-1], k, bits)
+        walk, end, offset = None, state.end, 0
+        for stretch in range(64 if exact else 1):
+            starts = spark.createDataFrame([(0, end)], "sample_id long, vertex long")
+            part = topdown.full_walk(ladder, starts, seed + state.number + 1000 * stretch, want, bits=bits, place=place)
+            part = part.select("sample_id", (F.col("pos") + offset).alias("pos"), "vertex")
+            walk = part if walk is None else cut(topdown.truncate_window(walk.union(part.where(F.col("pos") > offset)), want), "walk")
+            reach = walk.agg(F.count_distinct("vertex").alias("n"), F.max("pos").alias("last"), F.max_by("vertex", "pos").alias("end")).first()
+            if reach.n >= want:
+                break
+            end, offset = reach.end, reach.last
+    got = walk.agg(F.count_distinct("vertex").alias("n"), F.max("pos").alias("last"), F.max_by("vertex", "pos").alias("end"), F.count(F.lit(1)).alias("rows")).first()
+    facts = {"phase": state.number, "active": k, "distinct": got.n, "length": got.last, "rows": got.rows, "squarings": squarings, "levels": levels if k > 2 else 0, "lost": lost, "short": got.n < want}
+    new = trees.first_visit(walk) if shortcut is None else trees.first_visit_shortcut(walk, shortcut, arcs, active, seed, state.number, bits)
+    tree = cut(new if state.tree is None else state.tree.union(new), "tree")
+    visited = cut(state.visited.union(walk.select("vertex")).distinct(), "visited")
+    return Phase(state.start, got.end, visited, tree, state.number + 1, got.n < want), facts
+
+
+def phased(g: Graph, start: int, eps: float = 0.01, seed: int = 42, rho: str = "sqrt", length: int = 0, bits: int | None = None, on_short: str = "arbitrary", delta: float | None = None, place: str = "order", exact: bool = False) -> tuple[DataFrame, list[dict]]:
     """The phased sampler with DataFrames: a tree and facts of each phase.
 
-    Only scalars come to the driver: counts, the end vertex, what is still unabsorbed.
+    Length and bits follow ``params`` for an error of ``eps`` and the largest weight, unless given.
+    ``place``: see ``topdown.full_walk``.  ``exact``: cube-root phases, shuffles inside pairs, walks that
+    go on until the phase's goal.  Rounding that takes more than a third of ``eps`` from a row raises
+    FloatingPointError.  A phase that misses its goal sets ``short`` in its facts; then ``on_short`` decides:
+    'arbitrary' gives a breadth-first tree, 'fail' raises.  Only scalars come to the driver.
     """
     arcs, vertices = cut(g.arcs, "arcs"), cut(g.vertices, "vertices")
-    n, m = vertices.count(), g.edges.count()
+    n, m, w = vertices.count(), *g.edges.agg(F.count(F.lit(1)), F.max("w")).first()
+    if exact:
+        rho, place = "cbrt", "per_pair"
     goal = params.rho(n, rho)
-    size = length or params.target_length(n, m, eps)
+    size = length or params.target_length(n, m, eps, weight=w or 1)
+    bits = bits or params.precision(n, size, eps)
+    delta = delta if delta is not None else 2.0 ** -(2 * bits // 3)
     a = cut(linalg.transition(arcs, bits), "transition")
-    spark = arcs.sparkSession
-    visited = spark.createDataFrame([(start,)], "vertex long")
-    end, tree, facts = start, None, []
-    for phase in range(params.phases_bound(n) * 4 + 4):
-        active = cut(derived.active_set(vertices, visited, end), "active")
-        k = active.count()
-        if k == n:
-            t, shortcut, squarings = a, None, 0
-        else:
-            shortcut, squarings = derived.shortcut_absorbing(a, active, bits, delta)
-            shortcut = cut(shortcut, "shortcut")
-            t = derived.schur_transition(shortcut, derived.enter_matrix(arcs, active, bits), active, bits)
-        starts = spark.createDataFrame([(0, end)], "sample_id long, vertex long")
-        if k == 2:  # one step is all there is; even powers would never leave the start
-            walk = cut(doubling.stepwise(t.withColumnRenamed("x", "w"), starts, 1, seed + phase), "walk")
-        else:
-            walk = topdown.full_walk(linalg.power_ladder(t, size.bit_length() - 1, bits), starts, seed + phase, min(goal, k))
-        got = walk.agg(F.count_distinct("vertex").alias("n"), F.max("pos").alias("last"), F.max_by("vertex", "pos").alias("end")).first()
-        facts.append({"phase": phase, "active": k, "distinct": got.n, "length": got.last, "squarings": squarings, "levels": size.bit_length() - 1})
-        if got.n < min(goal, k) and on_short == "arbitrary":
+    state = Phase(start, start, arcs.sparkSession.createDataFrame([(start,)], "vertex long"))
+    facts: list[dict] = []
+    for _ in range(params.phases_bound(n) * 4 + 4):
+        if state.visited.count() == n:
+            if state.tree is None:
+                state.tree = arcs.sparkSession.createDataFrame([], TREE)
+            return state.tree, facts
+        state, fact = run_phase(state, arcs, vertices, a, n, goal, size, seed, bits, delta, place, exact)
+        facts.append(fact)
+        if fact["lost"] > eps / 3:
+            raise FloatingPointError(f"rounding at {bits} bits takes {fact['lost']:.2g} from a row, more than a third of {eps}")
+        if state.failed and on_short == "arbitrary":
             return graphs.bfs_tree(g.edges, start).where("parent IS NOT NULL").select(F.lit(0).cast("long").alias("sample_id"), F.col("vertex").alias("child"), "parent", F.least("vertex", "parent").alias("u"), F.greatest("vertex", "parent").alias("v")), facts
-        new = trees.first_visit(walk) if shortcut is None else trees.first_visit_shortcut(walk, shortcut, arcs, active, seed, phase)
-        tree = cut(new if tree is None else tree.union(new), "tree")
-        visited = cut(visited.union(walk.select("vertex")).distinct(), "visited")
-        end = got.end
-        if visited.count() == n:
-            return tree, facts
+        if state.failed:
+            raise RuntimeError(f"phase {fact['phase']} saw {fact['distinct']} vertices in {size} steps")
     raise RuntimeError("phases ran out; is the graph connected?")
 
 
@@ -115,7 +169,7 @@ def random_weight_mst(edges: DataFrame, seed: int, sample_id: int = 0) -> DataFr
     rounds of joins until none is left.  Not a uniform tree."""
     e = cut(edges.select("u", "v", rng.bits(seed, "mst", F.lit(sample_id), "u", "v").alias("x")), "mst")
     labels = cut(e.select(F.col("u").alias("vertex")).union(e.select("v")).distinct().select("vertex", F.col("vertex").alias("c")), "labels")
-    chosen = None
+    chosen = e.select("u", "v").limit(0)
     for _ in range(64):
         lu, lv = labels.select(F.col("vertex").alias("u"), F.col("c").alias("cu")), labels.select(F.col("vertex").alias("v"), F.col("c").alias("cv"))
         cross = cut(e.join(lu, "u").join(lv, "v").where("cu <> cv"), "cross")
@@ -123,7 +177,7 @@ def random_weight_mst(edges: DataFrame, seed: int, sample_id: int = 0) -> DataFr
             break
         key = F.struct("x", "u", "v")
         best = cross.select(F.col("cu").alias("c"), key.alias("k")).union(cross.select("cv", key)).groupBy("c").agg(F.min("k").alias("k")).select("k.u", "k.v").distinct()
-        chosen = cut(best if chosen is None else chosen.union(best).distinct(), "chosen")
+        chosen = cut(chosen.union(best).distinct(), "chosen")
         labels = cut(graphs.components(chosen, labels.select("vertex")).select("vertex", F.col("component").alias("c")), "labels")
     return chosen.select(F.lit(sample_id).cast("long").alias("sample_id"), "u", "v")
 
@@ -163,4 +217,4 @@ def sample_tree(g: Graph, method: str = "phased", eps: float = 0.01, seed: int =
     return replicate(g, samples, method, seed, **options)
 
 
-__all__ = ["by_doubling", "core", "forest", "phased", "random_weight_mst", "replicate", "sample_tree"]
+__all__ = ["Phase", "by_doubling", "core", "forest", "phased", "random_weight_mst", "replicate", "run_phase", "sample_tree"]

@@ -7,57 +7,60 @@ computed once for each distinct pair, whatever its count.
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..ckpt import cut
 from ..functions import rng
-from . import linalg
+from . import linalg, matching, params
+from .draws import bounds, pick
 
 
 def sample_end(power: DataFrame, starts: DataFrame, length: int, seed: int) -> DataFrame:
     """Walk rows at 0 and ``length`` for ``starts (sample_id, vertex)``."""
-    w = Window.partitionBy("i").orderBy("j")
-    law = power.withColumn("hi", F.sum("x").over(w)).withColumn("lo", F.col("hi") - F.col("x")).withColumn("total", F.sum("x").over(Window.partitionBy("i")))
-    draw = starts.join(law, starts["vertex"] == law["i"]).withColumn("r", rng.below("total", seed, "end", "sample_id"))
-    ends = draw.where("lo <= r AND r < hi").select("sample_id", F.lit(length).cast("long").alias("pos"), F.col("j").alias("vertex"))
+    rows = power.join(starts.select(F.col("vertex").alias("i")).distinct(), "i", "left_semi")
+    drawn = pick(starts.select("sample_id", F.col("vertex").alias("i")), bounds(rows, ["i"], "j", "x"), ["i"], "j", rng.below("total", seed, "end", "sample_id"))
+    ends = drawn.select("sample_id", F.lit(length).cast("long").alias("pos"), F.col("j").alias("vertex"))
     return starts.select("sample_id", F.lit(0).cast("long").alias("pos"), "vertex").union(ends)
 
 
-def gaps(walk: DataFrame) -> DataFrame:
-    """Neighbouring rows ``(sample_id, pos, p, q, occ)``; ``occ`` counts a pair's places in order."""
-    w = Window.partitionBy("sample_id").orderBy("pos")
-    g = walk.select("sample_id", "pos", F.col("vertex").alias("p"), F.lead("vertex").over(w).alias("q")).where("q is not null")
-    return g.withColumn("occ", F.row_number().over(Window.partitionBy("sample_id", "p", "q").orderBy("pos")).cast("long"))
+def _neighbours(walk: DataFrame, spacing: int) -> DataFrame:
+    """Rows ``spacing`` apart, by an equal join on the place: one walk's rows spread over all tasks."""
+    after = walk.select("sample_id", (F.col("pos") - spacing).alias("pos"), F.col("vertex").alias("q"))
+    return walk.select("sample_id", "pos", F.col("vertex").alias("p")).join(after, ["sample_id", "pos"])
 
 
-def requests(walk: DataFrame) -> DataFrame:
+def gaps(walk: DataFrame, spacing: int) -> DataFrame:
+    """Neighbouring rows ``(sample_id, pos, p, q, occ)`` of a walk filled every ``spacing`` steps; ``occ``
+    counts a pair's places in order."""
+    w = Window.partitionBy("sample_id", "p", "q").orderBy("pos")
+    return _neighbours(walk, spacing).withColumn("occ", F.row_number().over(w).cast("long"))
+
+
+def requests(walk: DataFrame, spacing: int) -> DataFrame:
     """Distinct pairs with their counts: ``(sample_id, p, q, c)``."""
-    w = Window.partitionBy("sample_id").orderBy("pos")
-    g = walk.select("sample_id", F.col("vertex").alias("p"), F.lead("vertex").over(w).alias("q")).where("q is not null")
-    return g.groupBy("sample_id", "p", "q").agg(F.count(F.lit(1)).alias("c"))
+    return _neighbours(walk, spacing).groupBy("sample_id", "p", "q").agg(F.count(F.lit(1)).alias("c"))
 
 
-def midpoint_law(pairs: DataFrame, half: DataFrame) -> DataFrame:
+def midpoint_law(pairs: DataFrame, half: DataFrame, bits: int = linalg.BITS) -> DataFrame:
     """For each distinct pair the middle's weights with cumulative bounds:
     ``(p, q, vertex, weight, lo, hi, total)``."""
     d = pairs.select("p", "q").distinct()
     left = half.select(F.col("i").alias("p"), F.col("j").alias("vertex"), F.col("x").alias("a"))
     right = half.select(F.col("i").alias("vertex"), F.col("j").alias("q"), F.col("x").alias("b"))
-    law = d.join(left, "p").join(right, ["vertex", "q"]).select("p", "q", "vertex", (F.col("a") * F.col("b")).alias("weight")).where("weight > 0")
-    w = Window.partitionBy("p", "q")
-    return law.withColumn("hi", F.sum("weight").over(w.orderBy("vertex"))).withColumn("total", F.sum("weight").over(w)).withColumn("lo", F.col("hi") - F.col("weight")).select("p", "q", "vertex", "weight", "lo", "hi", "total")
-
+    law = d.join(left, "p").join(right, ["vertex", "q"]).withColumn("weight", linalg.product("a", "b", bits))
+    if bits > 31:  # keep 62 bits of the product
+        law = law.withColumn("weight", linalg.shifted("weight", 2 * bits - 62, True))
+    return bounds(law.select("p", "q", "vertex", "weight").where("weight > 0"), ["p", "q"], "vertex", "weight").select("p", "q", "vertex", "weight", "lo", "hi", "total")
 
-def generate_midpoints(pairs: DataFrame, half: DataFrame, seed: int, level: int) -> DataFrame:
-    """``c`` draws for each pair of ``pairs (sample_id, p, q, c)``, in order of ``occ``.
 
-    The pick is an equi-join on the pair, filtered by the cumulative bounds.
-    """
-    law = midpoint_law(pairs, half)
+def generate_midpoints(pairs: DataFrame, half: DataFrame, seed: int, level: int, bits: int = linalg.BITS) -> DataFrame:
+    """``c`` draws for each pair of ``pairs (sample_id, p, q, c)``, in order of ``occ``."""
+    law = midpoint_law(pairs, half, bits)
     draws = pairs.select("sample_id", "p", "q", F.explode(F.sequence(F.lit(1).cast("long"), F.col("c"))).alias("occ"))
     r = rng.below("total", seed, f"mid{level}", "sample_id", "p", "q", "occ")
-    return draws.join(law, ["p", "q"]).withColumn("r", r).where("lo <= r AND r < hi").select("sample_id", "p", "q", "occ", "vertex")
+    return pick(draws, law, ["p", "q"], "vertex", r).select("sample_id", "p", "q", "occ", "vertex")
 
 
 def midpoint_counts(pairs: DataFrame, half: DataFrame, seed: int, level: int) -> DataFrame:
@@ -67,13 +70,37 @@ def midpoint_counts(pairs: DataFrame, half: DataFrame, seed: int, level: int) ->
 
 def place_in_order(walk: DataFrame, mids: DataFrame, step: int) -> DataFrame:
     """Put the draws of each pair into its places, in order; ``step``: new spacing."""
-    new = gaps(walk).join(mids, ["sample_id", "p", "q", "occ"]).select("sample_id", (F.col("pos") + step).alias("pos"), "vertex")
+    new = gaps(walk, 2 * step).join(mids, ["sample_id", "p", "q", "occ"]).select("sample_id", (F.col("pos") + step).alias("pos"), "vertex")
     return walk.select("sample_id", "pos", "vertex").union(new)
 
 
-def fill_level(walk: DataFrame, half: DataFrame, step: int, seed: int, level: int) -> DataFrame:
-    """One level: middles at distance ``step`` after every row; ``half`` is the matrix to that power."""
-    return place_in_order(walk, generate_midpoints(requests(walk), half, seed, level), step)
+def fill_level(walk: DataFrame, half: DataFrame, step: int, seed: int, level: int, bits: int = linalg.BITS, place: str = "order") -> DataFrame:
+    """One level: middles at distance ``step`` after every row; ``half`` is the matrix to that power.
+
+    ``place``: 'order' puts the draws of a pair into its places as drawn, 'per_pair' shuffles them there.
+    """
+    mids = generate_midpoints(requests(walk, 2 * step), half, seed, level, bits)
+    return place_in_order(walk, matching.per_pair(mids, seed, level) if place == "per_pair" else mids, step)
+
+
+def match_level(before: DataFrame, filled: DataFrame, half: DataFrame, step: int, seed: int, method: str, bits: int = linalg.BITS) -> DataFrame:
+    """Draw anew which middle stands where: a weighted perfect matching of the level's middles and places.
+
+    ``before``: the walk of the level above; ``filled``: the walk with middles, cut already.  The last
+    middle keeps its place.  Only the multiset of middles and the places of each sample meet in a task.
+    """
+    new = filled.where(F.col("pos") % (2 * step) == step)
+    last = new.groupBy("sample_id").agg(F.max("pos").alias("last"))
+    free = cut(new.join(last, "sample_id").where("pos < last").select("sample_id", "pos", "vertex"), "middles")
+    ends = _neighbours(before, 2 * step).select("sample_id", (F.col("pos") + step).alias("pos"), "p", "q")
+    places = free.select("sample_id", "pos").join(ends, ["sample_id", "pos"]).select("sample_id", F.col("pos").alias("pos_id"), "p", "q", F.xxhash64("p", "q").alias("place_class"))
+    items = free.select("sample_id", F.col("pos").alias("mid_id"), "vertex")
+    a = half.select(F.col("i").alias("p"), F.col("j").alias("vertex"), F.col("x").alias("a"))
+    b = half.select(F.col("i").alias("vertex"), F.col("j").alias("q"), F.col("x").alias("b"))
+    share = lambda c: F.coalesce(c, F.lit(0)) / F.lit(2.0**bits)
+    bip = places.join(items, "sample_id").join(a, ["p", "vertex"], "left").join(b, ["vertex", "q"], "left").select("sample_id", "pos_id", "mid_id", "place_class", "vertex", (share("a") * share("b")).alias("weight"))
+    drawn = matching.place(bip, method, seed).join(items, ["sample_id", "mid_id"]).select("sample_id", F.col("pos_id").alias("pos"), "vertex")
+    return filled.join(free.select("sample_id", "pos"), ["sample_id", "pos"], "left_anti").select("sample_id", "pos", "vertex").union(drawn)
 
 
 def truncate_window(walk: DataFrame, rho: int) -> DataFrame:
@@ -92,25 +119,54 @@ def cut_position(walk: DataFrame, rho: int) -> DataFrame:
     return first.withColumn("k", rank).where(F.col("k") == rho).select("sample_id", F.col("pos").alias("cut"))
 
 
-def full_walk(ladder: list[DataFrame], starts: DataFrame, seed: int, rho: int | None = None, truncate: str = "level") -> DataFrame:
+def full_walk(ladder: list[DataFrame], starts: DataFrame, seed: int, rho: int | None = None, truncate: str = "level", bits: int = linalg.BITS, place: str = "order") -> DataFrame:
     """A walk of ``2**(len(ladder)-1)`` steps for each start.
 
     ``truncate``: 'level' cuts at the ``rho``-th distinct vertex after every level (so the rows
     never grow past it), 'end' cuts once at the end (the same law), and without ``rho`` the walk
-    is filled in full.
+    is filled in full.  ``place``: 'order', 'per_pair', or a method of ``matching.place``, which draws
+    the middles' places anew after each cut.
     """
     top = len(ladder) - 1
     walk = cut(sample_end(ladder[top], starts, 1 << top, seed), "walk")
     for level in range(top, 0, -1):
-        walk = fill_level(walk, ladder[level - 1], 1 << (level - 1), seed, level)
+        before, step = walk, 1 << (level - 1)
+        walk = fill_level(before, ladder[level - 1], step, seed, level, bits, place)
         if rho and truncate == "level":
             walk = truncate_window(walk, rho)
         walk = cut(walk, "walk")
+        if place not in ("order", "per_pair"):
+            walk = cut(match_level(before, walk, ladder[level - 1], step, seed * 64 + level, place, bits), "walk")
     return cut(truncate_window(walk, rho), "walk") if rho and truncate == "end" else walk
 
 
-def truncated_walk(arcs: DataFrame, start: int, rho: int, length: int, seed: int, bits: int = linalg.BITS) -> DataFrame:
-    """Phase one: a walk from ``start`` to the first time ``rho`` vertices are seen, or ``length``."""
-    ladder = linalg.power_ladder(linalg.transition(arcs, bits), max(0, length.bit_length() - 1), bits)
-    starts = arcs.sparkSession.createDataFrame([(0, start)], "sample_id long, vertex long")
-    return full_walk(ladder, starts, seed, rho)
+def truncated_walk(arcs: DataFrame, start: int, rho: int | None = None, length: int = 0, seed: int = 42, bits: int | None = None, eps: float = 0.01, place: str = "order", samples: int = 1) -> DataFrame:
+    """Phase one: ``samples`` walks from ``start`` to the first time ``rho`` vertices are seen, or ``length``.
+
+    What is not given follows the rules of ``params`` for an error of ``eps``.
+    """
+    facts = arcs.agg(F.count_distinct("i").alias("n"), (F.count(F.lit(1)) / 2).cast("long").alias("m"), F.max("w").alias("w")).first()
+    rho = rho or params.rho(facts.n)
+    length = length or params.target_length(facts.n, facts.m, eps, weight=facts.w)
+    bits = bits or params.precision(facts.n, length, eps)
+    ladder = linalg.power_ladder(linalg.transition(arcs, bits), max(0, length.bit_length() - 1), bits, facts.n)
+    starts = arcs.sparkSession.range(samples).select(F.col("id").alias("sample_id"), F.lit(start).cast("long").alias("vertex"))
+    return full_walk(ladder, starts, seed, rho, bits=bits, place=place)
+
+
+def recursive_reference(p: np.ndarray, start: int, length: int, r: np.random.Generator) -> list[int]:
+    """A walk of ``length`` (a power of two) steps by plain recursion on dense powers of ``p``: the end, then
+    the middle of each half.  For tests on small graphs."""
+    powers = {1: p}
+    while max(powers) < length:
+        powers[2 * max(powers)] = powers[max(powers)] @ powers[max(powers)]
+    draw = lambda w: int(r.choice(len(w), p=w / w.sum()))
+
+    def inner(a: int, b: int, size: int) -> list[int]:
+        if size == 1:
+            return [b]
+        half = powers[size // 2]
+        middle = draw(half[a] * half[:, b])
+        return inner(a, middle, size // 2) + inner(middle, b, size // 2)
+
+    return [start, *inner(start, draw(powers[length][start]), length)]

@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import rng
+from . import linalg
+from .draws import bounds, pick
 
 
 def _tree(sample, child, parent):
@@ -13,9 +15,11 @@ def _tree(sample, child, parent):
 
 
 def first_entries(walk: DataFrame) -> DataFrame:
-    """``(sample_id, vertex, pos, prev)``: first place of every vertex and the vertex before it."""
-    prev = F.lag("vertex").over(Window.partitionBy("sample_id").orderBy("pos"))
-    return walk.withColumn("prev", prev).groupBy("sample_id", "vertex").agg(F.min("pos").alias("pos"), F.min_by("prev", "pos").alias("prev"))
+    """``(sample_id, vertex, pos, prev)``: first place of every vertex and the vertex before it, by an
+    equal join on the place: a walk without gaps is never gathered or sorted."""
+    first = walk.groupBy("sample_id", "vertex").agg(F.min("pos").alias("pos"))
+    before = walk.select("sample_id", (F.col("pos") + 1).alias("pos"), F.col("vertex").alias("prev"))
+    return first.join(before, ["sample_id", "pos"], "left").select("sample_id", "vertex", "pos", "prev")
 
 
 def first_visit(walk: DataFrame) -> DataFrame:
@@ -23,7 +27,7 @@ def first_visit(walk: DataFrame) -> DataFrame:
     return first_entries(walk).where("prev IS NOT NULL").select(*_tree("sample_id", F.col("vertex"), F.col("prev")))
 
 
-def first_visit_shortcut(walk: DataFrame, shortcut: DataFrame, arcs: DataFrame, active: DataFrame, seed: int, phase: int = 0) -> DataFrame:
+def first_visit_shortcut(walk: DataFrame, shortcut: DataFrame, arcs: DataFrame, active: DataFrame, seed: int, phase: int = 0, bits: int = linalg.BITS) -> DataFrame:
     """Real entry edges of a walk on the derived graph over ``active (vertex)``.
 
     Vertex ``v``, first seen after ``prev``, is entered from neighbour ``u`` with weight
@@ -34,11 +38,12 @@ def first_visit_shortcut(walk: DataFrame, shortcut: DataFrame, arcs: DataFrame,
     near = into.join(mass, "i").select(F.col("i").alias("u"), F.col("j").alias("vertex"), "w", "mass")
     q = shortcut.select(F.col("i").alias("prev"), F.col("j").alias("u"), F.col("x").alias("q"))
     new = first_entries(walk).where("prev IS NOT NULL").select("sample_id", "vertex", "prev")
-    cand = new.join(near, "vertex").join(q, ["prev", "u"]).withColumn("weight", F.expr("(q * w) div mass")).where("weight > 0")
-    w = Window.partitionBy("sample_id", "vertex")
-    cand = cand.withColumn("hi", F.sum("weight").over(w.orderBy("u"))).withColumn("total", F.sum("weight").over(w))
-    cand = cand.withColumn("r", rng.below("total", seed, f"enter{phase}", "sample_id", "vertex"))
-    return cand.where("hi - weight <= r AND r < hi").select(*_tree("sample_id", F.col("vertex"), F.col("u")))
+    weight = F.expr("(q * w) div mass") if bits <= 31 else F.expr("(cast(q as decimal(19,0)) * cast(w as decimal(19,0))) div cast(mass as decimal(38,0))")
+    pairs = new.select("vertex", "prev").distinct()
+    cand = pairs.join(near, "vertex").join(q, ["prev", "u"]).withColumn("weight", weight).where("weight > 0")
+    law = bounds(cand, ["vertex", "prev"], "u", "weight")
+    drawn = pick(new, law, ["vertex", "prev"], "u", rng.below("total", seed, f"enter{phase}", "sample_id", "vertex"))
+    return drawn.select(*_tree("sample_id", F.col("vertex"), F.col("u")))
 
 
 def tree_key(tree: DataFrame) -> DataFrame:

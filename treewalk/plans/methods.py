@@ -175,13 +175,13 @@ def sample_end(spark, sf):
 
 @query(f"WITH {_walk_sql(_V, 200)} SELECT s AS sample_id, p, q, count(*)::BIGINT AS c FROM g1 GROUP BY ALL")
 def pair_counts(spark, sf):
-    return topdown.requests(_walks(spark, sf, _V, 200, 3, 1)[1])
+    return topdown.requests(_walks(spark, sf, _V, 200, 3, 1)[1], 2)
 
 
 @query(f"WITH {_walk_sql(_V, 20)} SELECT p, q, vertex, weight::BIGINT AS weight, (hi - weight)::BIGINT AS lo, hi::BIGINT AS hi, total::BIGINT AS total FROM l2")
 def midpoint_law(spark, sf):
     ladder, walk = _walks(spark, sf, _V, 20, 3, 2)
-    return topdown.midpoint_law(topdown.requests(walk), ladder[1])
+    return topdown.midpoint_law(topdown.requests(walk, 4), ladder[1])
 
 
 @query(f"WITH {_walk_sql(_V, 200)} SELECT s AS sample_id, pos, vertex FROM w4")
@@ -222,25 +222,25 @@ def truncate_search(spark, sf):
 @query(f"WITH {_walk_sql(_V, 200)} SELECT s AS sample_id, vertex, count(*)::BIGINT AS c FROM d1 GROUP BY ALL")
 def multiset_counts(spark, sf):
     ladder, walk = _walks(spark, sf, _V, 200, 3, 1)
-    return matching.multiset(topdown.generate_midpoints(topdown.requests(walk), ladder[0], SEED, 1))
+    return matching.multiset(topdown.generate_midpoints(topdown.requests(walk, 2), ladder[0], SEED, 1))
 
 
 @query(f"WITH {_walk_sql(_V, 200)} SELECT s AS sample_id, p, q, vertex, count(*)::BIGINT AS c FROM d1 GROUP BY ALL")
 def midpoint_counts(spark, sf):
     ladder, walk = _walks(spark, sf, _V, 200, 3, 1)
-    return topdown.midpoint_counts(topdown.requests(walk), ladder[0], SEED, 1)
+    return topdown.midpoint_counts(topdown.requests(walk, 2), ladder[0], SEED, 1)
 
 
 def _placed_mids(spark, sf, samples):
     ladder, walk = _walks(spark, sf, _V, samples, 3, 1)
-    mids = topdown.generate_midpoints(topdown.requests(walk), ladder[0], SEED, 1)
+    mids = topdown.generate_midpoints(topdown.requests(walk, 2), ladder[0], SEED, 1)
     return ladder, walk, mids
 
 
 @query(f"WITH {_walk_sql(_V, 200)}, f AS (SELECT s, max(pos) AS pos FROM d1 GROUP BY s) SELECT d1.s AS sample_id, vertex, count(*)::BIGINT AS c FROM d1 JOIN f ON d1.s = f.s AND d1.pos < f.pos GROUP BY ALL")
 def split_final(spark, sf):
     _, walk, mids = _placed_mids(spark, sf, 200)
-    placed = topdown.gaps(walk).join(mids, ["sample_id", "p", "q", "occ"]).select("sample_id", "pos", "vertex")
+    placed = topdown.gaps(walk, 2).join(mids, ["sample_id", "p", "q", "occ"]).select("sample_id", "pos", "vertex")
     return matching.split_final(placed)[1]
 
 
@@ -251,7 +251,7 @@ def place_per_pair(spark, sf):
 
 def _bip_frame(spark, sf, samples: int) -> DataFrame:
     ladder, walk, mids = _placed_mids(spark, sf, samples)
-    slots = topdown.gaps(walk).join(mids, ["sample_id", "p", "q", "occ"])
+    slots = topdown.gaps(walk, 2).join(mids, ["sample_id", "p", "q", "occ"])
     places = slots.select("sample_id", F.col("pos").alias("pos_id"), "p", "q", (F.col("p") * 1000 + F.col("q")).alias("place_class"))
     items = slots.select("sample_id", F.col("pos").alias("mid_id"), "vertex")
     a = ladder[0].select(F.col("i").alias("p"), F.col("j").alias("vertex"), F.col("x").alias("a"))
@@ -629,7 +629,7 @@ def doubling_load(spark, sf):
 @query(f"WITH {_walk_sql(_V, 200)}, m AS (SELECT s, count(*) AS n FROM g1 GROUP BY s) SELECT max(a.n)::BIGINT AS max_sent, sum(a.n)::BIGINT AS words, (SELECT max(c) FROM (SELECT p, count(*) AS c FROM g1 GROUP BY p))::BIGINT AS max_recv FROM m a")
 def request_loads(spark, sf):
     """Messages of pair requests, from samples to the machines that own the left end."""
-    return ledger.loads(topdown.gaps(_walks(spark, sf, _V, 200, 3, 1)[1]), "sample_id", "p").select("max_sent", "words", "max_recv")
+    return ledger.loads(topdown.gaps(_walks(spark, sf, _V, 200, 3, 1)[1], 2), "sample_id", "p").select("max_sent", "words", "max_recv")
 
 
 @query(f"WITH {_walk_sql(_V, 200)} SELECT s AS sample_id, max(pos)::BIGINT AS length, count(DISTINCT vertex)::BIGINT AS n_distinct FROM w1 GROUP BY s")
@@ -640,7 +640,7 @@ def walk_length(spark, sf):
 @query(f"WITH {_walk_sql(_V, 200)} SELECT count(*)::BIGINT AS pairs, count(*) FILTER (WHERE coalesce(x, 0) <= {ONE // 25})::BIGINT AS rare FROM (SELECT DISTINCT s, p, q FROM g1) g LEFT JOIN m1 ON m1.i = g.p AND m1.j = g.q")
 def rare_pairs(spark, sf):
     ladder, walk = _walks(spark, sf, _V, 200, 3, 1)
-    return accuracy.rare_pairs(topdown.requests(walk), ladder[1], ONE // 25)
+    return accuracy.rare_pairs(topdown.requests(walk, 2), ladder[1], ONE // 25)
 
 
 # ---- graph operators and applications ----------------------------------------------------------
