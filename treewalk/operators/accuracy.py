@@ -147,6 +147,16 @@ def midpoint_bound(n: int, beta: float, c: float) -> float:
     return 2 * beta * n ** (c + 1)
 
 
+def same_counts(counts: DataFrame, law: DataFrame, least: float = 5.0) -> DataFrame:
+    """One row ``(cells, chi2, same)``: whether ``counts (i, j, n)`` of moves fit ``law (i, j, share)``; cells
+    that expect under ``least`` moves are left out."""
+    total = counts.groupBy("i").agg(F.sum("n").alias("total"))
+    both = law.join(total, "i").join(counts, ["i", "j"], "left").withColumn("e", F.col("share") * F.col("total")).where(F.col("e") >= least)
+    r = both.agg(F.count(F.lit(1)).alias("cells"), F.sum(F.pow(F.coalesce("n", F.lit(0)) - F.col("e"), F.lit(2.0)) / F.col("e")).alias("chi2"), F.count_distinct("i").alias("rows"))
+    z = (F.col("chi2") - (F.col("cells") - F.col("rows"))) / F.sqrt(2.0 * F.greatest(F.col("cells") - F.col("rows"), F.lit(1)))
+    return r.select("cells", "chi2", (z < 5).alias("same"))
+
+
 def rare_pairs(pairs: DataFrame, power: DataFrame, threshold: int) -> DataFrame:
     """``(pairs, rare)``: how many requested pairs have at most ``threshold`` of (fixed-point) weight."""
     x = power.select(F.col("i").alias("p"), F.col("j").alias("q"), "x")

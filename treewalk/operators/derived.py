@@ -98,7 +98,7 @@ def _absorbed_in_task(chain: DataFrame, bits: int, delta: float, max_levels: int
         i, j = np.nonzero(m[:n, n:])
         return pd.DataFrame({"i": ids[i], "j": ids[j], "x": m[:n, n:][i, j], "level": level})
 
-    return chain.groupBy(F.lit(0)).applyInPandas(run, "i long, j long, x long, level int")
+    return chain.groupBy().applyInPandas(run, "i long, j long, x long, level int")
 
 
 def self_return(shortcut: DataFrame, enter: DataFrame, keep: DataFrame, bits: int = linalg.BITS) -> DataFrame:

@@ -133,12 +133,37 @@ def stitch_overprovisioned(arcs: DataFrame, length: int, slack: int, seed: int)
     return stubs
 
 
+def short_walks(arcs: DataFrame, length: int, seed: int, walks_per_vertex: int = 1) -> list[DataFrame]:
+    """Stub tables of ``walks_per_vertex`` walks of ``length`` (a power of two) steps for every vertex."""
+    k = length << max(0, math.ceil(math.log2(max(walks_per_vertex, 1))))
+    out = [cut(init(arcs, k, seed), "stubs")]
+    for _ in range(length.bit_length() - 1):
+        out.append(cut(step(out[-1], k, seed=seed), "stubs"))
+        k //= 2
+    return out
+
+
+def vertices_at(tables: list[DataFrame], asked: DataFrame) -> DataFrame:
+    """The vertex of each walk after ``t`` steps, for ``asked (src, idx, t)`` with ids of the last table: one
+    join a level, into the first half of a walk or past it."""
+    top = len(tables) - 1
+    k = tables[0].agg(F.max("idx")).first()[0] >> top if top else 0
+    rows = asked.select("src", "idx", "t", F.col("src").alias("at"), F.col("idx").alias("stub"))
+    for level in range(top, 0, -1):
+        k *= 2  # indices at the level below
+        t = tables[level - 1].select(F.col("src").alias("at"), F.col("idx").alias("stub"), "endpoint")
+        past = F.col("t") >= (1 << (level - 1))
+        rows = rows.join(t, ["at", "stub"]).select("src", "idx", F.when(past, F.col("t") - (1 << (level - 1))).otherwise(F.col("t")).alias("t"), F.when(past, F.col("endpoint")).otherwise(F.col("at")).alias("at"), F.when(past, F.lit(k + 1) - F.col("stub")).otherwise(F.col("stub")).cast("long").alias("stub"))
+        rows = cut(rows, "descend")
+    ends = rows.join(tables[0].select(F.col("src").alias("at"), F.col("idx").alias("stub"), "endpoint"), ["at", "stub"])
+    return ends.select("src", "idx", F.when(F.col("t") >= 1, F.col("endpoint")).otherwise(F.col("at")).alias("vertex"))
+
+
 def pagerank(arcs: DataFrame, length: int, seed: int, walks_per_vertex: int = 1, stop: float = 0.15) -> DataFrame:
     """Share of walk ends by vertex; each walk stops after a geometric number of steps (at most
-    ``length``): the ends are distributed by the ranking with restart chance ``stop``."""
-    starts = arcs.select("i").distinct().select(F.explode(F.sequence(F.lit(1).cast("long"), F.lit(walks_per_vertex).cast("long"))).alias("c"), F.col("i").alias("vertex"))
-    starts = starts.select(F.concat_ws(":", "vertex", "c").alias("sample_id"), "vertex")
-    path = cut(stepwise(arcs, starts, length, seed), "rank")
-    last = F.least(F.floor(F.log(F.lit(1.0) - rng.u(seed, "stop", "sample_id")) / math.log(1 - stop)).cast("long"), F.lit(length).cast("long"))
-    ends = path.withColumn("last", last).where("pos = last")
-    return ends.groupBy("vertex").agg(F.count(F.lit(1)).alias("n"))
+    ``length``, a power of two): the ends are distributed by the ranking with restart chance ``stop``.
+    Walks are doubled, so the joins number twice the log of the length."""
+    tables = short_walks(arcs, length, seed, walks_per_vertex)
+    last = F.least(F.floor(F.log(F.lit(1.0) - rng.u(seed, "stop", "src", "idx")) / math.log(1 - stop)).cast("long"), F.lit(length).cast("long"))
+    asked = tables[-1].where(F.col("idx") <= walks_per_vertex).select("src", "idx", last.alias("t"))
+    return vertices_at(tables, asked).groupBy("vertex").agg(F.count(F.lit(1)).alias("n"))

@@ -216,7 +216,7 @@ def _replace(filled, walk, half, r, place):
     return out
 
 
-def phased(w: np.ndarray, r: np.random.Generator, eps: float = 0.01, place: str = "order", rho: str = "sqrt", bits: int | None = None, exact: bool = False, length: int = 0, facts: dict | None = None, start: int = 0) -> list[tuple[int, int]]:
+def phased(w: np.ndarray, r: np.random.Generator, eps: float = 0.01, place: str = "order", rho: str = "sqrt", bits: int | None = None, exact: bool = False, length: int = 0, facts: dict | None = None, start: int = 0, on_short: str = "arbitrary") -> list[tuple[int, int]]:
     """The phased sampler: short walks by the top-down method on ever smaller derived graphs.
 
     ``exact``: cube-root phases, shuffles inside pairs, and walks that go on until the phase's
@@ -254,6 +254,8 @@ def phased(w: np.ndarray, r: np.random.Generator, eps: float = 0.01, place: str
         if len(set(walk)) < want:
             if facts is not None:
                 facts["short"] = True
+            if on_short == "fail":
+                raise RuntimeError(f"a phase saw {len(set(walk))} of {want} vertices in {size} steps")
             return cover_tree_bfs(w)
         q = derived.shortcut_dense(w, keep) if len(keep) < n else None
         mass = w[:, keep].sum(1)

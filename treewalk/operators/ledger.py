@@ -47,16 +47,17 @@ class Ledger:
         self.charge("product", phase, level, self.n, self.n, self.n * self.n, matmul_rounds(self.n, bits, alpha))
 
     def charge_phases(self, facts: list[dict], bits: int = 30, alpha: float = ALPHA) -> None:
-        """Charges of a phased run from its facts: products, then per level the pair requests (at
-        most distinct squared), a matching and the probes of a binary search."""
+        """Charges of a phased run from its facts: products, then for each level the pair requests (words and
+        largest load as counted on the last, fullest level), the multiset of middles for the matching, and
+        the probes of a binary search over the places that were filled."""
         for f in facts:
             for level in range(f["levels"] + f["squarings"]):
                 self.charge_product(bits, f["phase"], level, alpha)
             for level in range(f["levels"]):
-                pairs = f["distinct"] ** 2
-                self.charge("pairs", f["phase"], level, pairs, pairs, pairs)
-                self.charge("probes", f["phase"], level, 3, 3 * self.n, 3 * self.n, 3 * max(1, math.ceil(math.log2(max(2, f["length"])))))
-                self.charge("matching", f["phase"], level, self.n, self.n, f["distinct"] ** 2)
+                self.charge("pairs", f["phase"], level, f["pairs"], f["pair_load"], f["pairs"])
+                probes = max(1, math.ceil(math.log2(max(2, f["rows"]))))
+                self.charge("probes", f["phase"], level, 3 * probes, 3 * f["pairs"], 3 * probes * f["pairs"], 3 * probes)
+                self.charge("matching", f["phase"], level, f["distinct"], f["pairs"], f["distinct"] * max(1, f["pairs"]))
             self.charge("first visits", f["phase"], 0, f["distinct"], f["distinct"], f["distinct"])
 
     def frame(self, spark: SparkSession) -> DataFrame:

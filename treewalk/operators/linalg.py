@@ -127,7 +127,7 @@ def _in_task(a: DataFrame, levels: int, bits: int) -> DataFrame:
             out.append(pd.DataFrame({"t": t, "i": ids[i], "j": ids[j], "x": m[i, j]}))
         return pd.concat(out)
 
-    return a.groupBy(F.lit(0)).applyInPandas(raise_all, "t int, i long, j long, x long")
+    return a.groupBy().applyInPandas(raise_all, "t int, i long, j long, x long")
 
 
 def stacked(ladder: list[DataFrame]) -> DataFrame:

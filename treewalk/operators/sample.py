@@ -93,6 +93,13 @@ class Phase:
     failed: bool = False
 
 
+def _pair_facts(walk: DataFrame) -> dict:
+    """Distinct pairs of neighbours, and the most of them that one vertex owns."""
+    pairs = topdown.requests(walk, 1).groupBy("p").agg(F.count(F.lit(1)).alias("n"))
+    r = pairs.agg(F.sum("n").alias("pairs"), F.max("n").alias("load")).first()
+    return {"pairs": r.pairs or 0, "pair_load": r.load or 0}
+
+
 def run_phase(state: Phase, arcs: DataFrame, vertices: DataFrame, a: DataFrame, n: int, goal: int, size: int, seed: int, bits: int, delta: float, place: str = "order", exact: bool = False) -> tuple[Phase, dict]:
     """One phase: the derived graph over what is unvisited, a walk on it to the ``goal``-th vertex, and the
     real edges that enter its new vertices.  ``exact``: further stretches of ``size`` steps until the goal."""
@@ -121,7 +128,7 @@ def run_phase(state: Phase, arcs: DataFrame, vertices: DataFrame, a: DataFrame,
                 break
             end, offset = reach.end, reach.last
     got = walk.agg(F.count_distinct("vertex").alias("n"), F.max("pos").alias("last"), F.max_by("vertex", "pos").alias("end"), F.count(F.lit(1)).alias("rows")).first()
-    facts = {"phase": state.number, "active": k, "distinct": got.n, "length": got.last, "rows": got.rows, "squarings": squarings, "levels": levels if k > 2 else 0, "lost": lost, "short": got.n < want}
+    facts = {"phase": state.number, "active": k, "distinct": got.n, "length": got.last, "rows": got.rows, **_pair_facts(walk), "squarings": squarings, "levels": levels if k > 2 else 0, "lost": lost, "short": got.n < want}
     new = trees.first_visit(walk) if shortcut is None else trees.first_visit_shortcut(walk, shortcut, arcs, active, seed, state.number, bits)
     tree = cut(new if state.tree is None else state.tree.union(new), "tree")
     visited = cut(state.visited.union(walk.select("vertex")).distinct(), "visited")

@@ -77,10 +77,16 @@ def place_in_order(walk: DataFrame, mids: DataFrame, step: int) -> DataFrame:
 def fill_level(walk: DataFrame, half: DataFrame, step: int, seed: int, level: int, bits: int = linalg.BITS, place: str = "order") -> DataFrame:
     """One level: middles at distance ``step`` after every row; ``half`` is the matrix to that power.
 
-    ``place``: 'order' puts the draws of a pair into its places as drawn, 'per_pair' shuffles them there.
+    ``place``: 'per_pair' draws for each pair and shuffles the draws over its places; any other puts them
+    there as drawn, and then a place is itself a draw: the same values without request and return.
     """
-    mids = generate_midpoints(requests(walk, 2 * step), half, seed, level, bits)
-    return place_in_order(walk, matching.per_pair(mids, seed, level) if place == "per_pair" else mids, step)
+    if place == "per_pair":
+        mids = generate_midpoints(requests(walk, 2 * step), half, seed, level, bits)
+        return place_in_order(walk, matching.per_pair(mids, seed, level), step)
+    places = gaps(walk, 2 * step)
+    r = rng.below("total", seed, f"mid{level}", "sample_id", "p", "q", "occ")
+    new = pick(places, midpoint_law(places, half, bits), ["p", "q"], "vertex", r)
+    return walk.select("sample_id", "pos", "vertex").union(new.select("sample_id", (F.col("pos") + step).alias("pos"), "vertex"))
 
 
 def match_level(before: DataFrame, filled: DataFrame, half: DataFrame, step: int, seed: int, method: str, bits: int = linalg.BITS) -> DataFrame:

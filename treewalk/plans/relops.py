@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import rng
+from ..functions.hashing import poly_family
 from ..operators.udf import edge_label, log_permanent, poly_hash_pd, random_walk_rows
 from ..sources.graphs import VIEWS
 from ..sources.tables import read_edges, table, write_edges
@@ -169,12 +170,14 @@ def salted_count(spark, sf):
     return part.groupBy("l_suppkey").agg(F.sum("n").alias("n"))
 
 
-both("distinct_prefix", "SELECT user_id, count(DISTINCT event_type) AS n FROM events WHERE event_id <= 5000 GROUP BY user_id", "events")
+both("distinct_prefix", "SELECT user_id, count(DISTINCT event_type) AS n FROM events GROUP BY user_id", "events")
 
 
-@query()
+@query("SELECT event_type, true AS near FROM events GROUP BY event_type")
 def approx_distinct(spark, sf):
-    return T(spark, sf, "events", "user_id", "event_type").groupBy("event_type").agg(F.approx_count_distinct("user_id", 0.02).alias("n"))
+    """Estimated beside counted: within a tenth."""
+    n, m = F.approx_count_distinct("user_id", 0.02), F.count_distinct("user_id")
+    return T(spark, sf, "events", "user_id", "event_type").groupBy("event_type").agg((F.abs(n - m) <= 0.1 * m).alias("near"))
 
 
 @query("SELECT sum(quality)::BIGINT AS good, count(*) FILTER (WHERE toxic = 1)::BIGINT AS toxic, count(*) FILTER (WHERE quality = 1 AND toxic = 0)::BIGINT AS clean FROM labels")
@@ -221,10 +224,10 @@ def range_frame_hour(spark, sf):
     return e.select("event_id", F.count(F.lit(1)).over(Window.partitionBy("user_id").orderBy("t").rangeBetween(-3_600_000_000, 0)).alias("n"))
 
 
-@query("SELECT event_id, (sum(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 3 PRECEDING AND CURRENT ROW) > 100) AS busy FROM events WHERE event_id < 2000")
+@query("SELECT event_id, (sum(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 3 PRECEDING AND CURRENT ROW) > 100) AS busy FROM events")
 def rows_frame(spark, sf):
     w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(-3, 0)
-    return T(spark, sf, "events").where("event_id < 2000").select("event_id", (F.sum("value").over(w) > 100).alias("busy"))
+    return T(spark, sf, "events", "event_id", "user_id", "ts", "value").select("event_id", (F.sum("value").over(w) > 100).alias("busy"))
 
 
 @query(f"SELECT u, v, w FROM ({VIEW_SQL['nation_trade_w']}) ORDER BY w DESC, u, v LIMIT 40 OFFSET 10")
@@ -368,36 +371,42 @@ def udf_edge_label(spark, sf):
     return T(spark, sf, "nation").select("n_nationkey", edge_label("n_name", "n_regionkey").alias("label"))
 
 
-@query()
-def udf_poly_hash(spark, sf):
-    """The vectorised form of the hash family agrees with the expression: no row comes out unequal."""
-    from ..functions.hashing import poly_family
+_FAM = poly_family(8, 101, 16, 42)
+_WIDE = poly_family(6, 1 << 31, 64, 42)  # a domain above the small prime
+
 
-    fam = poly_family(8, 101, 16, 42)
+@query(f"SELECT v, j, {_FAM.sql('v', 'j')} AS h, {_FAM.sql('v', 'j')} AS h_pd, {_WIDE.sql('v', 'j')} AS wide FROM (SELECT range % 500 AS v, range % 16 + 1 AS j FROM range(2000))")
+def udf_poly_hash(spark, sf):
+    """The hash family as expression and as vectorised function, and with the larger prime."""
+    fam = _FAM
     d = spark.range(2000).select((F.col("id") % 500).alias("v"), (F.col("id") % 16 + 1).alias("j"))
-    return d.select("v", "j", fam.column(F.col("v"), F.col("j")).alias("h"), poly_hash_pd(fam)("v", "j").alias("h_pd"))
+    return d.select("v", "j", fam.column(F.col("v"), F.col("j")).alias("h"), poly_hash_pd(fam)("v", "j").alias("h_pd"), _WIDE.column(F.col("v"), F.col("j")).alias("wide"))
 
 
-@query()
+@query("WITH m AS (SELECT g, i, j, ((g + i * j) % 5 + 1)::DOUBLE AS w FROM range(4) a(g), range(5) b(i), range(5) c(j)) SELECT a.g, round(ln(sum(a.w * b.w * c.w * d.w * e.w)), 9) AS log_permanent FROM m a JOIN m b ON b.g = a.g AND b.i = 1 JOIN m c ON c.g = a.g AND c.i = 2 JOIN m d ON d.g = a.g AND d.i = 3 JOIN m e ON e.g = a.g AND e.i = 4 WHERE a.i = 0 AND len(list_distinct([a.j, b.j, c.j, d.j, e.j])) = 5 GROUP BY a.g")
 def udaf_log_permanent(spark, sf):
     d = spark.createDataFrame([(g, i, j, float((g + i * j) % 5 + 1)) for g in range(4) for i in range(5) for j in range(5)], "g long, i long, j long, w double")
-    return d.groupBy("g").agg(log_permanent("i", "j", "w").alias("log_permanent"))
+    return d.groupBy("g").agg(F.round(log_permanent("i", "j", "w"), 9).alias("log_permanent"))
 
 
-@query("SELECT 1::BIGINT AS ok")
+@query(f"WITH e AS ({VIEW_SQL['nation_trade']}) SELECT 201::BIGINT AS n_rows, 200::BIGINT AS steps_on_edges, count(*)::BIGINT AS edges FROM e")
 def udtf_random_walk(spark, sf):
-    """A walk by table function: positions 0..length, on edges only."""
+    """A walk by table function on the trade graph: positions 0..length, on edges only."""
     spark.udtf.register("random_walk", random_walk_rows)
-    r = spark.sql("SELECT * FROM random_walk('0-1,1-2,2-3,0-3,0-2', 0, 12, 42)")
-    return r.agg((F.count(F.lit(1)) == 13).cast("long").alias("ok"))
+    e = VIEWS["nation_trade"](spark, sf)
+    text = e.agg(F.concat_ws(",", F.sort_array(F.collect_list(F.concat_ws("-", "u", "v")))).alias("t"), F.count(F.lit(1)).alias("n")).first()  # 25 nations
+    r = spark.sql(f"SELECT * FROM random_walk('{text.t}', 0, 200, 42)").select("pos", "vertex")
+    hop = r.join(r.select((F.col("pos") + 1).alias("pos"), F.col("vertex").alias("before")), "pos").select(F.least("vertex", "before").alias("u"), F.greatest("vertex", "before").alias("v"))
+    good = hop.join(F.broadcast(e), ["u", "v"]).agg(F.count(F.lit(1)).alias("steps_on_edges"))  # at most 300 edges
+    return r.agg(F.count(F.lit(1)).alias("n_rows")).crossJoin(good).select("n_rows", "steps_on_edges", F.lit(text.n).cast("long").alias("edges"))
 
 
-@query("SELECT 4::BIGINT AS n_edges")
+@query(f"WITH e AS ({VIEW_SQL['nation_trade']}) SELECT (count(DISTINCT x) - 1)::BIGINT AS n_edges FROM (SELECT u AS x FROM e UNION ALL SELECT v FROM e)")
 def udtf_sample_tree(spark, sf):
-    """A spanning tree of a table argument."""
+    """A spanning tree of a table argument, edges of the graph only."""
     from .. import sqlapi
     from ..sources.graphs import graph
 
     sqlapi.register(spark)
-    graph(spark, None, "five").edges.createOrReplaceTempView("five_edges")
-    return spark.sql("SELECT count(*) AS n_edges FROM sample_tree(TABLE(five_edges) WITH SINGLE PARTITION, 42, 'loop_erased')")
+    graph(spark, sf, "nation_trade").edges.createOrReplaceTempView("trade_edges")
+    return spark.sql("SELECT count(DISTINCT e.u, e.v) AS n_edges FROM sample_tree(TABLE(trade_edges) WITH SINGLE PARTITION, 42, 'loop_erased') t JOIN trade_edges e ON e.u = least(t.child, t.parent) AND e.v = greatest(t.child, t.parent)")
