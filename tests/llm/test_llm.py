@@ -69,7 +69,7 @@ def test_chunks_of_shared_passages_are_reused(spark):
     """A passage that different texts share is cut and encoded alike in all of them."""
     r = random.Random(5)
     prose = lambda n: " ".join("".join(r.choice("abcdefgh") for _ in range(r.randint(2, 9))) for _ in range(n))
-    passage = prose(1500)
+    passage = prose(6000)
     texts = [prose(r.randint(50, 400)) + " " + passage + " " + prose(r.randint(50, 400)) for _ in range(12)]
     d = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "doc_id long, text string").repartition(4)
     got = chunk_bpe.reuse(d).first()

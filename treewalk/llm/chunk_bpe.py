@@ -2,7 +2,7 @@
 
 1. A rolling hash over 32 characters cuts each text where the hash has given low bits, so equal
    passages in different documents yield equal chunks.
-   Chunks have some thousand characters, so a passage of that length that documents share is
+   Chunks have some four thousand characters, so a passage of that length that documents share is
    mostly encoded once; ``reuse`` reports how many are.
 2. Chunks meet by content hash and each distinct chunk is encoded once.  Within an input slice
    equal chunks are one row already; a chunk that a slice holds many times is dealt out over
@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 from .common import bites, numbered, parts, renamed
 from .word_memo import encoder
 
-MEAN, LEAST, MOST, SPREAD, MANY = 1024, 256, 65536, 64, 4
+MEAN, LEAST, MOST, SPREAD, MANY = 4096, 512, 65536, 64, 4
 ALONE = -1  # place of the only chunk of a document
 _GAP = re.compile(r"[ \t\n\r]")
 
