@@ -4,6 +4,7 @@ from collections import Counter
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from treewalk import queries as registry
 from treewalk.ckpt import plan_facts
@@ -132,6 +133,65 @@ def test_phased_frames_tree(spark):
     assert r.ok and len(facts) <= 2 * params.phases_bound(4)
 
 
+def test_walks_in_task_equal_frames(spark):
+    """Same draws, same walks, at both precisions; cutting at once or late is the same too."""
+    g = graphs.graph(spark, None, "five")
+    starts = spark.createDataFrame([(s, 0) for s in range(6)], "sample_id long, vertex long")
+    for bits in (30, 60):
+        ladder = linalg.power_ladder(linalg.transition(g.arcs, bits), 5, bits)
+        inside = linalg.power_ladder(linalg.transition(g.arcs, bits), 5, bits, 5)
+        assert all(sorted(a.collect()) == sorted(b.collect()) for a, b in zip(ladder, inside))
+        frames = sorted(topdown.full_walk(ladder, starts, 7, 4, bits=bits).collect())
+        assert frames == sorted(topdown.walks_in_task(inside, starts, 7, 4, bits).collect())
+        assert frames == sorted(topdown.full_walk(ladder, starts, 7, 4, "end", bits).collect())
+
+
+def test_placement_keeps_law(spark):
+    """Two-step walks between fixed ends: middles placed by a drawn matching follow the same law."""
+    g = graphs.graph(spark, None, "diamond")
+    ladder = linalg.power_ladder(linalg.transition(g.arcs), 2, linalg.BITS, 4)
+    starts = spark.createDataFrame([(s, 0) for s in range(1500)], "sample_id long, vertex long")
+    walk = topdown.full_walk(ladder, starts, 3, 3, place="exact")
+    first = {r.vertex: r.n for r in walk.where("pos = 1").groupBy("vertex").agg(F.count(F.lit(1)).alias("n")).collect()}
+    assert sum(first.values()) == 1500 and all(abs(first[v] - 500) < 110 for v in (1, 2, 3))
+
+
+def test_recursive_reference_is_the_walk():
+    w = matrix(graphs.FIXTURES["diamond_w"])
+    p = w / w.sum(1, keepdims=True)
+    r = np.random.default_rng(1)
+    ends = np.bincount([topdown.recursive_reference(p, 0, 8, r)[3] for _ in range(4000)], minlength=4) / 4000
+    assert np.abs(ends - np.linalg.matrix_power(p, 3)[0]).max() < 0.04
+
+
+def test_precision_rule(spark):
+    assert params.precision(25, 1 << 17, 0.01) == 60 and params.precision(4, 16, 0.1) == 30
+    with pytest.raises(ValueError):
+        params.precision(100_000, 1 << 60, 0.01)
+    g = graphs.graph(spark, None, "five")
+    with pytest.raises(FloatingPointError):
+        sample.phased(g, 0, length=1 << 26, bits=30)
+    m = np.random.default_rng(0).integers(0, 1 << 52, (40, 40))
+    exact = [[sum(int(m[i, k]) * int(m[k, j]) for k in range(40)) >> 60 for j in range(40)] for i in range(40)]
+    assert linalg.exact_product(m, m, 60).tolist() == exact
+
+
+def test_doubling_on_string_views(spark):
+    """Ids of 53 bits: numbered first, nothing overflows; an empty graph has an empty forest."""
+    e = spark.createDataFrame([((1 << 52) + a, (1 << 52) + b, 1) for a, b in ((1, 9), (9, 20), (1, 20), (20, 33))], "u long, v long, w long")
+    t = sample.by_doubling(graphs.Graph(e), (1 << 52) + 1, seed=5)
+    assert accuracy.validate_tree(t, e).first().ok
+    assert doubling.walks(graphs.Graph(e).arcs, 4096, 1, "hash").count() == 4
+    assert sample.random_weight_mst(e.limit(0), 1).count() == 0
+
+
+def test_walk_plans_have_no_window_over_a_sample(spark):
+    from treewalk.ckpt import plan_text
+
+    walk = spark.createDataFrame([(0, 0, 1), (0, 2, 2), (0, 4, 1)], "sample_id long, pos long, vertex long")
+    assert "Window" not in plan_text(trees.first_visit(walk)) and "Window" not in plan_text(topdown.requests(walk, 2))
+
+
 def test_forest_and_reductions(spark):
     e = spark.createDataFrame([(0, 1, 1), (1, 2, 1), (0, 2, 1), (2, 3, 1), (10, 11, 2)], "u long, v long, w long")
     assert accuracy.validate_tree(sample.forest(graphs.Graph(e)), e).first().ok

@@ -120,7 +120,11 @@ def run_phase(state: Phase, arcs: DataFrame, vertices: DataFrame, a: DataFrame,
         walk, end, offset = None, state.end, 0
         for stretch in range(64 if exact else 1):
             starts = spark.createDataFrame([(0, end)], "sample_id long, vertex long")
-            part = topdown.full_walk(ladder, starts, seed + state.number + 1000 * stretch, want, bits=bits, place=place)
+            drawn = seed + state.number + 1000 * stretch
+            if k <= linalg.TILE and place == "order":
+                part = topdown.walks_in_task(ladder, starts, drawn, want, bits)
+            else:
+                part = topdown.full_walk(ladder, starts, drawn, want, bits=bits, place=place)
             part = part.select("sample_id", (F.col("pos") + offset).alias("pos"), "vertex")
             walk = part if walk is None else cut(topdown.truncate_window(walk.union(part.where(F.col("pos") > offset)), want), "walk")
             reach = walk.agg(F.count_distinct("vertex").alias("n"), F.max("pos").alias("last"), F.max_by("vertex", "pos").alias("end")).first()

@@ -7,7 +7,10 @@ computed once for each distinct pair, whatever its count.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -146,6 +149,55 @@ def full_walk(ladder: list[DataFrame], starts: DataFrame, seed: int, rho: int |
     return cut(truncate_window(walk, rho), "walk") if rho and truncate == "end" else walk
 
 
+def walks_in_task(ladder: list[DataFrame], starts: DataFrame, seed: int, rho: int, bits: int = linalg.BITS) -> DataFrame:
+    """``full_walk`` cut after every level, for a core whose vertices were counted to be at most
+    ``linalg.TILE``: the powers are broadcast and each start's walk is filled in its task.  Draws are the
+    same, so the walks are."""
+    top = len(ladder) - 1
+    t = linalg.stacked(ladder).toArrow()  # at most TILE squared entries a level
+    level, i, j, x = (t.column(c).to_numpy() for c in ("t", "i", "j", "x"))
+    ids = np.unique(np.concatenate([i, j]))
+    if len(ids) > linalg.TILE:
+        raise ValueError(f"{len(ids)} vertices are above the bound of {linalg.TILE}")
+    powers = np.zeros((top + 1, len(ids), len(ids)), np.int64)
+    powers[level, np.searchsorted(ids, i), np.searchsorted(ids, j)] = x
+    shared = starts.sparkSession.sparkContext.broadcast((ids, powers))
+
+    def fill(sample: int, start: int) -> list[tuple[int, int]]:
+        ids, powers = shared.value
+
+        def draw(hi: np.ndarray, *keys) -> int:
+            total = int(hi[-1])
+            r = min(int(rng.py_bits(seed, *keys) / float(rng.SCALE) * float(total)), total - 1)
+            return int(np.searchsorted(hi, r, side="right"))
+
+        first = int(np.searchsorted(ids, start))
+        walk = [(0, first), (1 << top, draw(np.cumsum(powers[top][first]), "end", sample))]
+        for k in range(top, 0, -1):
+            half, laws, occ, new, seen = powers[k - 1], {}, {}, [walk[0]], {first}
+            for (pos, p), (_, q) in zip(walk, walk[1:]):
+                pair = (p, q)
+                if pair not in laws:
+                    w = half[p] * half[:, q] if bits <= 31 else ((half[p].astype(object) * half[:, q]) >> (2 * bits - 62)).astype(np.int64)
+                    laws[pair] = np.cumsum(w)
+                occ[pair] = occ.get(pair, 0) + 1
+                middle = draw(laws[pair], f"mid{k}", sample, int(ids[p]), int(ids[q]), occ[pair])
+                for step in ((pos + (1 << (k - 1)), middle), (pos + (1 << k), q)):
+                    if len(seen) < rho:
+                        new.append(step)
+                        seen.add(step[1])
+            walk = new
+        return [(pos, int(ids[v])) for pos, v in walk]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for sample, start in zip(*(c.to_pylist() for c in b.columns)):
+                pos, vertex = zip(*fill(sample, start))
+                yield pa.RecordBatch.from_arrays([pa.array([sample] * len(pos), pa.int64()), pa.array(pos, pa.int64()), pa.array(vertex, pa.int64())], names=["sample_id", "pos", "vertex"])
+
+    return cut(starts.select("sample_id", "vertex").mapInArrow(run, "sample_id long, pos long, vertex long"), "walk")
+
+
 def truncated_walk(arcs: DataFrame, start: int, rho: int | None = None, length: int = 0, seed: int = 42, bits: int | None = None, eps: float = 0.01, place: str = "order", samples: int = 1) -> DataFrame:
     """Phase one: ``samples`` walks from ``start`` to the first time ``rho`` vertices are seen, or ``length``.
 

@@ -4,10 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .plans import methods, relops
+from .plans import experiments, methods, relops
 
-QUERIES: dict = methods.QUERIES | relops.QUERIES
-ORACLES: dict[str, str] = methods.ORACLES | relops.ORACLES
+QUERIES: dict = methods.QUERIES | experiments.QUERIES | relops.QUERIES
+ORACLES: dict[str, str] = methods.ORACLES | experiments.ORACLES | relops.ORACLES
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
