@@ -346,7 +346,7 @@ METHODS = {
     "conditional_marginals": conditional_marginals,
     "random_weight_mst": random_weight_mst,
     "phased": phased,
-    "phased_matching": functools.partial(phased, place="classes"),
+    "phased_matching": functools.partial(phased, place="auto"),
     "phased_swap": functools.partial(phased, place="swap"),
     "phased_per_pair": functools.partial(phased, place="per_pair"),
     "phased_exact": functools.partial(phased, exact=True),

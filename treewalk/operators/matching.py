@@ -3,7 +3,8 @@
 ``w[s, m]`` is the weight of middle ``m`` in place ``s``; a matching's weight is the product over
 its places.  Variants: ``exact`` (self-reduction with permanents), ``approx_count`` (self-reduction
 with a sampled count), ``swap`` (Metropolis over permutations), ``classes`` (counts by class of
-place and vertex, then a shuffle within each), ``per_pair`` and ``order``.
+place and vertex, then a shuffle within each), ``auto`` (``classes`` up to ``TABLES`` tables of counts, the
+swap chain beyond), ``per_pair`` and ``order``.  A method that cannot serve an input says so.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ from pyspark.sql import functions as F
 
 from ..functions import rng
 
-EXACT_LIMIT = 12
+EXACT_LIMIT, TABLES, MOST_DRAWS = 12, 20_000, 200_000
 
 
 def permanent(m: np.ndarray) -> float:
@@ -65,14 +66,20 @@ def swap(w: np.ndarray, start: np.ndarray, r: np.random.Generator, sweeps: int =
     return m
 
 
-def approx_permanent(w: np.ndarray, r: np.random.Generator, draws: int = 200) -> float:
-    """Unbiased sequential estimate: rows choose by weight among free columns, scaled by how much
-    weight each later row could still take."""
+def approx_permanent(w: np.ndarray, r: np.random.Generator, error: float = 0.05) -> float:
+    """Unbiased sequential estimate: rows choose by weight among free columns, and the product of what they
+    could choose from is averaged.  Draws go on until their standard error is ``error`` of the mean."""
     n = len(w)
     if n == 0:
         return 1.0
-    out = np.zeros(draws)
-    for d in range(draws):
+    out: list[float] = []
+    while True:
+        if len(out) >= 200:
+            mean, spread = float(np.mean(out)), float(np.std(out)) / math.sqrt(len(out))
+            if spread <= error * mean or (mean == 0 and len(out) >= 2000):
+                return mean
+            if len(out) >= MOST_DRAWS:
+                raise ValueError(f"{MOST_DRAWS} draws leave a relative error of {spread / mean:.2g}")
         free, value = np.ones(n, bool), 1.0
         for s in range(n):
             p = w[s] * free
@@ -82,16 +89,16 @@ def approx_permanent(w: np.ndarray, r: np.random.Generator, draws: int = 200) ->
                 break
             value *= t
             free[int(r.choice(n, p=p / t))] = False
-        out[d] = value
-    return float(out.mean())
+        out.append(value)
 
 
 def approx_count(w: np.ndarray, r: np.random.Generator, tv: float = 0.05) -> np.ndarray:
-    """Self-reduction with sampled counts in place of permanents; more samples for a smaller ``tv``."""
-    draws = int(min(4000, max(100, 4 * len(w) / max(tv, 1e-3))))
+    """Self-reduction with sampled counts in place of permanents.  Each of the n choices uses counts with a
+    standard error of ``tv`` / n of their value, so that all choices together stay near ``tv``."""
+    error = tv / max(1, len(w))
     free, out = list(range(len(w))), []
     for s in range(len(w)):
-        p = np.array([w[s, m] * approx_permanent(w[s + 1 :][:, [x for x in free if x != m]], r, draws) for m in free])
+        p = np.array([w[s, m] * approx_permanent(w[s + 1 :][:, [x for x in free if x != m]], r, error) if w[s, m] > 0 else 0.0 for m in free])
         if p.sum() <= 0:
             p = np.array([float(w[s, m] > 0) for m in free])
         pick = free[int(r.choice(len(free), p=p / p.sum()))]
@@ -117,13 +124,18 @@ def class_tables(rows: list[int], cols: list[int], w: np.ndarray) -> tuple[list[
     return tables, weights
 
 
-def classes(w: np.ndarray, place_class: np.ndarray, vertex: np.ndarray, r: np.random.Generator, limit: int = 20_000) -> np.ndarray:
-    """Draw the table of counts, then shuffle inside each class; the swap chain where there are
-    too many tables."""
+def table_bound(place_class: np.ndarray, vertex: np.ndarray) -> int:
+    """Bound on the number of tables of counts."""
+    rows, kinds = np.unique(place_class, return_counts=True)[1], len(np.unique(vertex))
+    return math.prod(math.comb(int(a) + kinds - 1, kinds - 1) for a in rows[:-1])
+
+
+def classes(w: np.ndarray, place_class: np.ndarray, vertex: np.ndarray, r: np.random.Generator, limit: int = TABLES) -> np.ndarray:
+    """Draw the table of counts, then shuffle inside each class."""
     g, x = np.unique(place_class), np.unique(vertex)
     rows, cols = [int((place_class == k).sum()) for k in g], [int((vertex == k).sum()) for k in x]
-    if math.prod(math.comb(a + len(x) - 1, len(x) - 1) for a in rows[:-1]) > limit:
-        return swap(w, np.arange(len(w)), r)
+    if (n := table_bound(place_class, vertex)) > limit:
+        raise ValueError(f"up to {n} tables of counts, over {limit}; use 'swap' or 'auto'")
     small = np.array([[w[np.flatnonzero(place_class == a)[0], np.flatnonzero(vertex == b)[0]] for b in x] for a in g])
     tables, weight = class_tables(rows, cols, small)
     t = tables[int(r.choice(len(tables), p=weight / weight.sum()))]
@@ -137,16 +149,22 @@ def classes(w: np.ndarray, place_class: np.ndarray, vertex: np.ndarray, r: np.ra
 
 def draw(w: np.ndarray, method: str, r: np.random.Generator, place_class=None, vertex=None, start=None, tv: float = 0.05) -> np.ndarray:
     """Middle of every place by the named method."""
-    if method == "exact" and len(w) <= EXACT_LIMIT:
+    if method == "exact":
+        if len(w) > EXACT_LIMIT:
+            raise ValueError(f"exact matchings are drawn for up to {EXACT_LIMIT} places, not {len(w)}")
         return exact(w, r)
+    if method == "auto":
+        method = "classes" if table_bound(place_class, vertex) <= TABLES else "swap"
     if method == "approx_count":
         return approx_count(w, r, tv)
     if method == "classes":
         return classes(w, place_class, vertex, r)
+    if method != "swap":
+        raise ValueError(f"no placement is called {method!r}")
     return swap(w, np.arange(len(w)) if start is None else start, r)
 
 
-def place(bip: DataFrame, method: str = "classes", seed: int = 0, tv: float = 0.05) -> DataFrame:
+def place(bip: DataFrame, method: str = "auto", seed: int = 0, tv: float = 0.05) -> DataFrame:
     """``bip (sample_id, pos_id, mid_id, place_class, vertex, weight)`` with one row for each place and
     middle, to ``(sample_id, pos_id, mid_id)``: one grouped task a sample."""
 
