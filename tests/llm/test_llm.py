@@ -294,6 +294,65 @@ def test_quality_and_toxicity(spark, empty, awkward):
     assert toxicity.keep(docs, net).columns == docs.columns
 
 
+@pytest.mark.parametrize("name", ["quality", "toxicity"])
+def test_gradients(name):
+    """Each net's gradients against differences of its loss, in double precision."""
+    g = np.random.default_rng(3)
+    if name == "quality":
+        net, count, y = quality.Net(), np.array([2, 0, 3, 1]), np.array([1.0, 0.0, 0.0, 1.0])
+        x, weight = g.standard_normal((6, quality.FEATURES)), np.ones(4)
+        forward, gradients = lambda: net._forward(x, count)[0], lambda: net.gradients(x, count, y)
+    else:
+        net, y, weight = toxicity.Net(), np.array([1.0, 0.0, 1.0]), np.array([1.0, 2.0, 0.5])
+        x, mask = g.standard_normal((3, 5, toxicity.INPUTS)), np.array([[1, 1, 1, 1, 1], [1, 1, 1, 0, 0], [1, 0, 0, 0, 0]], bool)
+        forward, gradients = lambda: net.forward(x, mask)[0], lambda: net.gradients(x, mask, y, weight)
+    net.p = {k: v.astype(float) for k, v in net.p.items()}
+
+    def loss():
+        out = forward()
+        return float((-(y * np.log(out) + (1 - y) * np.log(1 - out)) * weight).sum() / weight.sum())
+
+    for k, got in gradients().items():
+        flat = net.p[k].reshape(-1)
+        for at in g.choice(len(flat), min(6, len(flat)), replace=False):
+            kept = flat[at]
+            flat[at] = kept + 1e-4
+            up = loss()
+            flat[at] = kept - 1e-4
+            down = loss()
+            flat[at] = kept
+            assert abs((up - down) / 2e-4 - np.asarray(got).reshape(-1)[at]) < 2e-3, (k, at)
+
+
+def test_language_mixture_brute_force():
+    """Two languages: the proportion found has the likelihood of the best on a grid."""
+    r = random.Random(6)
+    text = lambda s, n: " ".join("".join(r.choice(s) for _ in range(3)) for _ in range(n))
+    one, two = "ba be bi bo bu".split(), "be xo xy zu zy".split()
+    counts = np.array([np.bincount(language.grams(text(s, 3000)), minlength=language.BUCKETS) for s in (one, two)])
+    model = language.Model(["aa", "bb"], counts)
+    for n in (30, 80, 120):
+        c = model.profile(text(one, n) + " " + text(two, 120 - n + 20)).astype(float)
+        theta = model.mixture(c[None, :])[0]
+        like = lambda t: float((c * np.log(np.maximum(np.array([t, 1 - t]) @ model.like.T, 1e-30))).sum())
+        best = max(np.linspace(0, 1, 201), key=like)
+        assert abs(theta[0] - best) < 0.05
+
+
+def test_long_repeated_and_extra(spark):
+    """Very long texts, repeated rows and clashing columns in the scoring operators."""
+    long = " ".join(f"w{k % 97}" for k in range(60_000))
+    d = spark.createDataFrame([(1, long, 0.1, 9), (1, long, 0.2, 9), (2, "short", 0.3, 9), (None, None, 0.4, 9)], "doc_id long, text string, score double, held_out int")
+    rows = _labelled(300)
+    docs = spark.createDataFrame([(i, t) for i, t, _, _ in rows], "doc_id long, text string")
+    for module, column, at in ((quality, "quality", 2), (toxicity, "toxic", 3)):
+        net = module.fit(docs, spark.createDataFrame([(r[0], r[at]) for r in rows], f"doc_id long, {column} int"))
+        got = module.score(d, net).collect()
+        assert len(got) == 4 and len({r.score for r in got if r.doc_id == 1}) == 1
+    model = language.fit(docs.selectExpr("doc_id", "text", "'xx' AS lang"))
+    assert sorted(r.lang_pred for r in language.predict(d, model).collect()) == ["und", "xx", "xx", "xx"]
+
+
 def test_language(spark, empty, awkward):
     r = random.Random(2)
     syllables = {"aa": "ba be bi bo bu".split(), "bb": "xo xy zu zy qa".split()}
@@ -414,3 +473,19 @@ def test_pipeline_stages(spark):
         assert docs.columns == columns and docs.count() <= n, name
         n = docs.count()
     assert corpus_pipeline.STAGES[-1][1](spark, docs, sf).count() == n > 0
+
+
+def test_pipeline_stages_with_awkward_rows(spark):
+    """Nulls, repeated ids, clashing names and empty tables pass every stage."""
+    import corpus_pipeline
+
+    sf = "/root/testdata/sf0.001"
+    schema = "doc_id long, text string, lang string, source string, n_chars long, _row int, _key int, _kept int, _text int, row int"
+    few = [(None, None, None, None, None, 1, 1, 1, 1, 1), (None, "plain words of some kind", "en", "a", 24, 2, 2, 2, 2, 2), (7, "another text that stays", "en", None, 23, 3, 3, 3, 3, 3), (7, "and one more under the same id", "en", "b", 30, 4, 4, 4, 4, 4), (8, "", "en", "b", 0, 5, 5, 5, 5, 5)]
+    for rows, left in ((few, {2, 3, 4}), ([], set())):
+        d = spark.createDataFrame(rows, schema)
+        for name, stage in corpus_pipeline.STAGES[:-1]:
+            out = stage(spark, d, sf)
+            assert out.columns == d.columns, name
+            assert {r._row for r in out.collect()} >= left, name
+        assert corpus_pipeline.STAGES[-1][1](spark, d, sf).count() == len(rows)

@@ -21,12 +21,16 @@ def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir``.
 
-    Where the session names none (tests on one machine) a temporary folder is made.
+    Where the session names none (tests) a temporary folder is made, but only if driver and
+    executors are one machine.
     """
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         found = spark.conf.get("treewalk.scratch.dir", None)
         if not found:
+            master = spark.sparkContext.master
+            if master != "local" and not master.startswith("local["):
+                raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
             found = "file://" + tempfile.mkdtemp(prefix="treewalk-")
             spark.conf.set("treewalk.scratch.dir", found)
     return found

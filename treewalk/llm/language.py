@@ -10,7 +10,7 @@ that a document is a short count vector over profiles and EM is a few matrix pro
 Defined cases: null texts and texts without a letter are ``und`` with score 0; very long texts
 count whole; ties go to the language first in name order; repeated rows give equal results; an
 empty table, or one without any language to learn, gives ``und`` or no rows; other columns are
-ignored.
+ignored; rows with a null ``doc_id`` are predicted and not held out.
 """
 
 from __future__ import annotations
@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import bites
-from .sampling import bounded, remainder
+from .sampling import LONGEST, bounded, remainder
 
 BUCKETS, LEVELS, STEP, ROUNDS, OVERLAP = 1 << 15, 7, 0.7, 10, 3
 _FOLD = np.array([c + 32 if 65 <= c <= 90 else c if 97 <= c <= 122 or c >= 128 else 32 for c in range(256)], np.uint32)
@@ -87,8 +87,8 @@ class Model:
 
 def fit(docs: DataFrame, per_language: int = 1000) -> Model:
     """Learn from text and language of rows that aren't held out (at most about
-    ``per_language`` documents of each language)."""
-    usable = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.col("lang").cast("string").alias("lang")).where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (remainder(4) != 2))
+    ``per_language`` documents of each language, of up to ``LONGEST`` bytes)."""
+    usable = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.col("lang").cast("string").alias("lang")).where(F.col("lang").isNotNull() & (F.octet_length("text") <= LONGEST) & (remainder(4) != 2))
     counts: dict[str, np.ndarray] = {}
     for r in bounded(usable, "lang", per_language).select("lang", "text").collect():
         counts.setdefault(r.lang, np.zeros(BUCKETS))

@@ -8,7 +8,8 @@ score are learned together from document labels, with plain numpy and Adam, on a
 
 Defined cases: null and empty texts have no passage and get the score of the empty bag; very
 long texts are encoded whole, passage by passage; repeated rows give equal scores; without
-labels every score is 0.5; an empty table gives no rows; other columns are ignored.
+labels every score is 0.5; an empty table gives no rows; other columns are ignored; rows with a
+null ``doc_id`` are scored, are not held out and are not learned from.
 """
 
 from __future__ import annotations
@@ -96,6 +97,23 @@ class Net:
     def score(self, x: np.ndarray, count: np.ndarray) -> np.ndarray:
         return self._forward(x, count)[0]
 
+    def gradients(self, x: np.ndarray, count: np.ndarray, y: np.ndarray) -> dict[str, np.ndarray]:
+        """Of the mean log loss of the bags."""
+        out, (bag, h, t, s, a, z) = self._forward(x, count)
+        p, g = self.p, {}
+        do = (out - y) / len(y)
+        g["c"], g["d"] = z.T @ do, np.array([do.sum()])
+        dz = do[:, None] * p["c"]
+        dot = (dz[bag] * h).sum(1)
+        de = a * (dot - np.bincount(bag, weights=a * dot, minlength=len(count))[bag])
+        g["w"] = (t * s).T @ de
+        dts = de[:, None] * p["w"]
+        dt, ds = dts * s * (1 - t * t), dts * t * s * (1 - s)
+        g["V"], g["U"] = h.T @ dt, h.T @ ds
+        dh = (a[:, None] * dz[bag] + dt @ p["V"].T + ds @ p["U"].T) * (1 - h * h)
+        g["W"], g["b"] = ((x - self.mean) / self.std).T @ dh, dh.sum(0)
+        return g
+
     def train(self, x: np.ndarray, count: np.ndarray, y: np.ndarray, epochs: int = 30, rate: float = 0.01, batch: int = 128) -> None:
         self.mean, self.std = x.mean(0), x.std(0) + 1e-3
         first, r = np.cumsum(count) - count, np.random.default_rng(1)
@@ -107,21 +125,8 @@ class Net:
                 ids = order[lo : lo + batch]
                 rows = np.concatenate([np.arange(first[i], first[i] + count[i]) for i in ids])
                 xs, cs = x[rows], count[ids]
-                out, (bag, h, t, s, a, z) = self._forward(xs, cs)
-                p, g = self.p, {}
-                do = (out - y[ids]) / len(ids)
-                g["c"], g["d"] = z.T @ do, np.array([do.sum()])
-                dz = do[:, None] * p["c"]
-                dot = (dz[bag] * h).sum(1)
-                de = a * (dot - np.bincount(bag, weights=a * dot, minlength=len(cs))[bag])
-                g["w"] = (t * s).T @ de
-                dts = de[:, None] * p["w"]
-                dt, ds = dts * s * (1 - t * t), dts * t * s * (1 - s)
-                g["V"], g["U"] = h.T @ dt, h.T @ ds
-                dh = (a[:, None] * dz[bag] + dt @ p["V"].T + ds @ p["U"].T) * (1 - h * h)
-                g["W"], g["b"] = ((xs - self.mean) / self.std).T @ dh, dh.sum(0)
-                step += 1
-                for k, v in g.items():
+                p, step = self.p, step + 1
+                for k, v in self.gradients(xs, cs, y[ids]).items():
                     m[k][0] = 0.9 * m[k][0] + 0.1 * v
                     m[k][1] = 0.999 * m[k][1] + 0.001 * v * v
                     self.p[k] = (p[k] - rate * (m[k][0] / (1 - 0.9**step)) / (np.sqrt(m[k][1] / (1 - 0.999**step)) + 1e-8) - 1e-5 * p[k]).astype(np.float32)

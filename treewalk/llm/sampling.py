@@ -6,6 +6,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
+#: Longest text, in bytes, that a model is fitted on: with the number of rows this bounds what the
+#: driver collects.  Longer texts are scored like any other.
+LONGEST = 100_000
+
+
 def remainder(mod: int, key: str = "doc_id") -> Column:
     """crc32 of the id as text, modulo ``mod``: decides what is held out."""
     return F.crc32(F.col(key).cast("string").cast("binary")) % mod
@@ -26,9 +31,10 @@ def bounded(rows: DataFrame, label: str, per_class: int, key: str = "doc_id") ->
 
 
 def labelled(docs: DataFrame, labels: DataFrame, label: str, mod: int, per_class: int) -> list[tuple[str, int]]:
-    """Texts and labels of a bounded sample of the rows that may be learned from."""
+    """Texts and labels of a bounded sample of the rows that may be learned from; texts above
+    ``LONGEST`` bytes are left out of it."""
     usable = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y")).where(F.col("doc_id").isNotNull() & F.col("y").isin(0, 1) & (remainder(mod) != 0))
     once = usable.groupBy("doc_id").agg(F.max("y").alias("y"))
     few = bounded(once, "y", per_class)  # at most a few thousand pairs of numbers
-    found = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(few), "doc_id").select("doc_id", "text", "y").collect()
+    found = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where(F.coalesce(F.octet_length("text"), F.lit(0)) <= LONGEST).join(F.broadcast(few), "doc_id").select("doc_id", "text", "y").collect()
     return [(r.text or "", r.y) for r in sorted(found, key=lambda r: (r.doc_id, r.text or ""))]

@@ -11,7 +11,8 @@ sample, so that words seen in one document only don't look telling.  Plain numpy
 
 Defined cases: null texts and texts without a word score 0; very long texts are scored whole,
 window by window; repeated rows score alike; with labels of one kind only, or none, every score
-is 0; an empty table gives no rows; other columns are ignored.
+is 0; an empty table gives no rows; other columns are ignored; rows with a null ``doc_id`` are
+scored, are not held out and are not learned from.
 """
 
 from __future__ import annotations
