@@ -185,6 +185,17 @@ def test_doubling_on_string_views(spark):
     assert sample.random_weight_mst(e.limit(0), 1).count() == 0
 
 
+def test_hash_family_of_any_degree(spark):
+    from treewalk.functions.hashing import poly_family
+
+    d = spark.range(200).select((F.col("id") % 50).alias("v"), (F.col("id") % 9 + 1).alias("j"))
+    rows = d.collect()
+    for t, n, k in ((5, 50, 9), (120, 50, 9), (40, 1 << 32, 16)):
+        fam = poly_family(t, n, k, 3)
+        horner = lambda x: sum(c * pow(x, e, fam.prime) for e, c in enumerate(fam.coeffs)) % fam.prime % n
+        assert [r.h for r in d.select(fam.column(F.col("v"), F.col("j")).alias("h")).collect()] == [horner(r.v * k + r.j - 1) for r in rows]
+
+
 def test_walk_plans_have_no_window_over_a_sample(spark):
     from treewalk.ckpt import plan_text
 

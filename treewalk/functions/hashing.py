@@ -25,18 +25,20 @@ class PolyHash:
     prime: int = PRIME
 
     def column(self, v: Column, j: Column) -> Column:
-        if self.prime == PRIME:
-            x = F.pmod(F.pmod(v, F.lit(PRIME)) * F.lit(self.k) + j - 1, F.lit(PRIME))
-            h = F.lit(0).cast("long")
-            for c in reversed(self.coeffs):
-                h = F.pmod(h * x + F.lit(c), F.lit(PRIME))
-            return F.pmod(h, F.lit(self.buckets))
-        kind, p = "decimal(19,0)", F.lit(self.prime).cast("decimal(19,0)")
-        x = F.pmod(F.pmod(v.cast(kind), p) * F.lit(self.k).cast("decimal(10,0)") + (j - 1).cast(kind), p).cast(kind)
-        h = F.lit(0).cast(kind)
-        for c in reversed(self.coeffs):
-            h = F.pmod((h * x).cast("decimal(38,0)") + F.lit(c).cast(kind), p).cast(kind)
-        return F.pmod(h, F.lit(self.buckets).cast(kind)).cast("long")
+        wide = self.prime != PRIME
+        kind, p = ("decimal(19,0)" if wide else "bigint"), F.lit(self.prime)
+        p = p.cast(kind) if wide else p
+        at = F.pmod(v.cast(kind), p) * F.lit(self.k).cast("decimal(10,0)" if wide else "bigint")
+        x = F.pmod(at + (j - 1).cast(kind), p).cast(kind)
+        step = lambda h, c: F.pmod((h * x).cast("decimal(38,0)") + c if wide else h * x + c, p).cast(kind)
+        coeffs = [F.lit(c).cast(kind) for c in reversed(self.coeffs)]
+        if len(coeffs) <= 16:  # nested, so compiled; deeper nesting overflows the planner's stack
+            h = F.lit(0).cast(kind)
+            for c in coeffs:
+                h = step(h, c)
+        else:
+            h = F.aggregate(F.array(*coeffs), F.lit(0).cast(kind), step)
+        return F.pmod(h, F.lit(self.buckets).cast(kind)).cast("bigint")
 
     def sql(self, v: str, j: str) -> str:
         x = f"((({v})::HUGEINT * {self.k} + ({j}) - 1) % {self.prime})"
