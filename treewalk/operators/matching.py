@@ -72,24 +72,21 @@ def approx_permanent(w: np.ndarray, r: np.random.Generator, error: float = 0.05)
     n = len(w)
     if n == 0:
         return 1.0
-    out: list[float] = []
+    out = np.zeros(0)
     while True:
-        if len(out) >= 200:
-            mean, spread = float(np.mean(out)), float(np.std(out)) / math.sqrt(len(out))
-            if spread <= error * mean or (mean == 0 and len(out) >= 2000):
-                return mean
-            if len(out) >= MOST_DRAWS:
-                raise ValueError(f"{MOST_DRAWS} draws leave a relative error of {spread / mean:.2g}")
-        free, value = np.ones(n, bool), 1.0
-        for s in range(n):
-            p = w[s] * free
-            t = p.sum()
-            if t <= 0:
-                value = 0.0
-                break
-            value *= t
-            free[int(r.choice(n, p=p / t))] = False
-        out.append(value)
+        free, value = np.ones((500, n), bool), np.ones(500)
+        for s in range(n):  # all draws of a batch at once
+            open_ = np.cumsum(w[s] * free, axis=1)
+            total = open_[:, -1]
+            pick = (open_ <= (r.random(500) * total)[:, None]).sum(1).clip(max=n - 1)
+            value *= total
+            free[np.arange(500), pick] = False
+        out = np.concatenate([out, value])
+        mean, spread = float(out.mean()), float(out.std()) / math.sqrt(len(out))
+        if spread <= error * mean or (mean == 0 and len(out) >= 2000):
+            return mean
+        if len(out) >= MOST_DRAWS:
+            raise ValueError(f"{MOST_DRAWS} draws leave a relative error of {spread / mean:.2g}")
 
 
 def approx_count(w: np.ndarray, r: np.random.Generator, tv: float = 0.05) -> np.ndarray:
