@@ -63,4 +63,4 @@ def queries() -> dict:
     return {k: f for k, f in globals().items() if k.startswith("op") and k[2].isdigit()}
 
 
-ORACLES: dict[str, str] = {"op2_warc_revisit": revisit.ORACLE, "op5_decontaminate": decontaminate.ORACLE}
+ORACLES: dict[str, str] = {"op2_warc_revisit": revisit.ORACLE, "op4_suffix_dedup": suffix_dedup.ORACLE, "op5_decontaminate": decontaminate.ORACLE, "op9_vector_graph": vector_graph.ORACLE}

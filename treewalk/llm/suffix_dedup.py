@@ -466,3 +466,14 @@ def clean(docs: DataFrame, crowd: int = CROWD) -> DataFrame:
     joined = fixed.drop("text").join(left, F.col(key) == F.col(other))
     new = {"text": F.col(text), "n_chars": F.length(text).cast("long")}
     return joined.select(*[new[c].alias(c) if c in new else F.col(c) for c in docs.columns])
+
+
+#: DuckDB SQL with the same rule, by counting all strings; bytes are taken as pairs of hexadecimal digits.
+ORACLE = f"""WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+ p AS (SELECT doc_id, i, md5(substr(h, 2 * i + 1, {2 * LENGTH})) AS k FROM (SELECT doc_id, h, unnest(range(greatest(length(h) // 2 - {LENGTH - 1}, 0))) AS i FROM d)),
+ s AS (SELECT doc_id, i FROM p JOIN (SELECT k FROM p GROUP BY k HAVING count(*) > 1) USING (k)),
+ g AS (SELECT doc_id, i, sum(fresh) OVER (PARTITION BY doc_id ORDER BY i) AS run FROM (SELECT doc_id, i, CASE WHEN i <= lag(i) OVER (PARTITION BY doc_id ORDER BY i) + {LENGTH} THEN 0 ELSE 1 END AS fresh FROM s)),
+ r AS (SELECT doc_id, min(i) AS lo, max(i) + {LENGTH} AS hi FROM g GROUP BY doc_id, run),
+ c AS (SELECT doc_id, lo, hi, lag(hi, 1, 0) OVER (PARTITION BY doc_id ORDER BY lo) AS past FROM r),
+ k AS (SELECT doc_id, sum(hi - lo)::BIGINT AS n_removed, count(*)::BIGINT AS n_spans, max(hi) AS last, string_agg(substr(h, 2 * past + 1, 2 * (lo - past)), '' ORDER BY lo) AS kept FROM c JOIN d USING (doc_id) GROUP BY doc_id)
+ SELECT doc_id, (length(h) // 2)::BIGINT AS n_bytes, coalesce(n_removed, 0) AS n_removed, coalesce(n_spans, 0) AS n_spans, sha256(unhex(coalesce(kept || substr(h, 2 * last + 1), h))) AS kept_sha256 FROM d LEFT JOIN k USING (doc_id)"""

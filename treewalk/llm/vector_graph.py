@@ -476,3 +476,11 @@ def audit(vectors: DataFrame, result: DataFrame, near: float = NEAR, every: int
     truth = rows.mapInArrow(count, "vec_id long, n long").groupBy("vec_id").agg((F.sum("n") - 1).alias("truth"))
     got = truth.join(result.select("vec_id", "n_links"), "vec_id").agg(F.sum("truth"), F.sum("n_links")).first()
     return 1.0 if not got[0] else got[1] / got[0]
+
+
+#: DuckDB SQL with the same rule, by comparing all pairs: for small tables.
+ORACLE = f"""WITH RECURSIVE x AS (SELECT vec_id, embedding::DOUBLE[] AS e FROM embeddings),
+ l AS (SELECT a.vec_id AS a, b.vec_id AS b FROM x a JOIN x b ON a.vec_id <> b.vec_id AND isfinite(list_cosine_similarity(a.e, b.e)) AND list_cosine_similarity(a.e, b.e) >= {NEAR}),
+ r(root, v) AS (SELECT vec_id, vec_id FROM x UNION SELECT r.root, l.b FROM r JOIN l ON l.a = r.v),
+ c AS (SELECT v AS vec_id, min(root) AS component_id FROM r GROUP BY v)
+ SELECT vec_id, (SELECT count(*) FROM l WHERE a = c.vec_id)::BIGINT AS n_links, component_id, vec_id = component_id AS kept, 1.0::DOUBLE AS audit_recall FROM c"""
