@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..ckpt import cut
 from ..functions import hashing, rng
-from ..operators import accuracy, derived, doubling, kernels, ledger, linalg, matching, params, sample, topdown, truncate, walks
+from ..operators import accuracy, derived, doubling, kernels, ledger, linalg, matching, params, sample, topdown, trees, truncate, walks
 from ..sources import graphs
 from ..sources.graphs import VIEWS, Graph
 from .methods import _CUT, _V, _XR, BITS, ONE, SEED, VIEW_SQL, _absorb_sql, _arcs_sql, _double_sql, _g, _placed_mids, _shortcut, _square_sql, _stepwise, _stepwise_sql, _stub_sql, _transition_sql, _walk_sql, _walks
@@ -152,6 +152,26 @@ def _phase_facts(spark, sf, view: str, **options) -> dict:
 _SIZES = " UNION ALL ".join(f"SELECT '{v}' AS graph, count(DISTINCT x)::BIGINT AS n FROM (SELECT u AS x FROM ({VIEW_SQL[v]}) UNION ALL SELECT v FROM ({VIEW_SQL[v]}))" for v in _CORES)
 
 
+def _frames_law(walker):
+    """First-visit trees of many walks made in frames, against the exact law (chi-square)."""
+
+    def run(spark, sf):
+        rows = []
+        for name in ("diamond", "diamond_w"):
+            g = graphs.graph(spark, None, name)
+            starts = spark.range(1200).select(F.col("id").alias("sample_id"), F.lit(0).cast("long").alias("vertex"))
+            tree = cut(trees.first_visit(walker(g, starts)), "tree")
+            r = accuracy.tv(tree, accuracy.truth_frame(spark, graphs.FIXTURES[name])).first()
+            rows.append((name, r.samples, r.df, accuracy.chi2_p(r.chi2, r.df) > 1e-4))
+        return spark.createDataFrame(rows, "graph string, samples long, df long, law_ok boolean")
+
+    return run
+
+
+_LAW = "SELECT g AS graph, 1200::BIGINT AS samples, 7::BIGINT AS df, true AS law_ok FROM (VALUES ('diamond'), ('diamond_w')) t(g)"
+query(_LAW, "tv_frames_truncated")(_frames_law(lambda g, s: topdown.full_walk(linalg.power_ladder(linalg.transition(g.arcs), 7, BITS, 4), s, SEED, 4)))
+
+
 @query(f"SELECT graph, n, true AS phases_ok, true AS distinct_ok FROM ({_SIZES})")
 def x3_phases(spark, sf):
     """No more than 2 sqrt(n) phases, and no phase sees over sqrt(n) vertices."""
