@@ -185,6 +185,14 @@ def test_doubling_on_string_views(spark):
     assert sample.random_weight_mst(e.limit(0), 1).count() == 0
 
 
+def test_cost_counts_shuffled_bytes(spark):
+    from treewalk.operators import measure
+
+    with_shuffle = measure.run_cost(spark, lambda: spark.range(5000).groupBy((F.col("id") % 97).alias("k")).count())
+    without = measure.run_cost(spark, lambda: spark.range(5000).select((F.col("id") * 2).alias("k")))
+    assert with_shuffle["shuffle_bytes"] > 0 < with_shuffle["peak_rows"] and without["shuffle_bytes"] == 0
+
+
 def test_hash_family_of_any_degree(spark):
     from treewalk.functions.hashing import poly_family
 

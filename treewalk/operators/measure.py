@@ -10,8 +10,9 @@ from pyspark.sql import DataFrame, SparkSession
 
 def _stages(spark: SparkSession) -> dict:
     """Stage id and attempt to (bytes written to shuffles, bytes spilled, records written to shuffles)."""
-    store = spark.sparkContext._jsc.sc().statusStore()
-    found = store.stageList(None)
+    gateway = spark.sparkContext._gateway
+    none = gateway.new_array(gateway.jvm.double, 0)  # no quantiles wanted
+    found = spark.sparkContext._jsc.sc().statusStore().stageList(None, False, False, none, gateway.jvm.java.util.ArrayList())
     out = {}
     for k in range(found.size()):
         s = found.apply(k)
