@@ -203,6 +203,7 @@ def truncated_walk(arcs: DataFrame, start: int, rho: int | None = None, length:
 
     What is not given follows the rules of ``params`` for an error of ``eps``.
     """
+    arcs = cut(arcs.select("i", "j", "w"), "arcs")
     facts = arcs.agg(F.count_distinct("i").alias("n"), (F.count(F.lit(1)) / 2).cast("long").alias("m"), F.max("w").alias("w")).first()
     rho = rho or params.rho(facts.n)
     length = length or params.target_length(facts.n, facts.m, eps, weight=facts.w)

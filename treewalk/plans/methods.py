@@ -158,7 +158,8 @@ def _walk_sql(view: str, samples: int, levels: int = 3) -> str:
 
 def _walks(spark, sf, view: str, samples: int, levels: int = 3, until: int = 0):
     """Ladder and the walk filled down to level ``until``."""
-    ladder = linalg.power_ladder(linalg.transition(_g(spark, sf, view).arcs, BITS), levels, BITS)
+    g = Graph(cut(VIEWS[view](spark, sf), "edges"))
+    ladder = linalg.power_ladder(linalg.transition(g.arcs, BITS), levels, BITS)
     starts = spark.range(samples).select(F.col("id").alias("sample_id"), F.lit(0).cast("long").alias("vertex"))
     walk = cut(topdown.sample_end(ladder[levels], starts, 1 << levels, SEED), "walk")
     for level in range(levels, until, -1):
@@ -322,7 +323,7 @@ def _absorb_sql(view: str, levels: int, kept: str = "j % 2 = 0") -> str:
 
 def _shortcut(spark, sf, levels: int):
     """A fixed number of squarings, so that the oracle can follow."""
-    g = _g(spark, sf, "nation_trade_w")
+    g = Graph(cut(VIEWS["nation_trade_w"](spark, sf), "edges"))
     keep = cut(g.vertices.where("vertex % 2 = 0"), "keep")
     a = cut(linalg.transition(g.arcs, BITS), "a")
     q, _ = derived.shortcut_absorbing(a, keep, BITS, -1.0, levels)
