@@ -489,3 +489,29 @@ def test_pipeline_stages_with_awkward_rows(spark):
             assert out.columns == d.columns, name
             assert {r._row for r in out.collect()} >= left, name
         assert corpus_pipeline.STAGES[-1][1](spark, d, sf).count() == len(rows)
+
+
+def _peak(job):
+    """Bytes that Python and numpy held at most, and the result."""
+    import tracemalloc
+
+    tracemalloc.start()
+    try:
+        out = job()
+        return tracemalloc.get_traced_memory()[1], out
+    finally:
+        tracemalloc.stop()
+
+
+def test_driver_holds_little_of_what_it_samples(spark):
+    """The sample of anchors stays in Arrow but for common keys; a fit holds its texts' numbers in 32 bits."""
+    head = "".join(random.Random(1).choices("abcdefghij ", k=300))
+    texts = ["".join(random.Random(k).choices("abcdefghij ", k=6000)) + head + chr(97 + k % 26) * 3 + str(k) * 100 for k in range(300)]
+    rows = spark.createDataFrame(list(enumerate(texts)), "row long, text string").repartition(3)
+    peak, cuts = _peak(lambda: suffix_dedup._splits(rows, 20))
+    assert cuts
+    assert peak < 20e6
+    fitted = [(t, int(k % 3 == 0)) for k, t in enumerate(texts)]
+    peak, net = _peak(lambda: toxicity.train(fitted, turns=1, epochs=1))
+    assert net is not None
+    assert peak < 11 * sum(map(len, texts))

@@ -36,5 +36,6 @@ def labelled(docs: DataFrame, labels: DataFrame, label: str, mod: int, per_class
     usable = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y")).where(F.col("doc_id").isNotNull() & F.col("y").isin(0, 1) & (remainder(mod) != 0))
     once = usable.groupBy("doc_id").agg(F.max("y").alias("y"))
     few = bounded(once, "y", per_class)  # at most a few thousand pairs of numbers
-    found = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where(F.coalesce(F.octet_length("text"), F.lit(0)) <= LONGEST).join(F.broadcast(few), "doc_id").select("doc_id", "text", "y").collect()
-    return [(r.text or "", r.y) for r in sorted(found, key=lambda r: (r.doc_id, r.text or ""))]
+    found = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where(F.coalesce(F.octet_length("text"), F.lit(0)) <= LONGEST).join(F.broadcast(few), "doc_id").select("doc_id", F.coalesce("text", F.lit("")).alias("text"), "y").toArrow()
+    rows = sorted(zip(*(c.to_pylist() for c in found.columns)), key=lambda r: r[:2])
+    return [r[1:] for r in rows]

@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bites, cut, fresh_name, numbered, parts, renamed
+from .common import bites, cut, fresh_name, give_back, numbered, parts, renamed
 from .word_memo import _B1, _B2, _Powers
 
 LENGTH, GRAM = 200, 64
@@ -385,11 +385,27 @@ def _splits(rows: DataFrame, crowd: int) -> dict[int, list]:
                 i = np.flatnonzero((draw >> np.uint64(32)) < np.uint64(int(rate / of_rows * 2**32)))
                 yield pa.RecordBatch.from_arrays([pa.array(key[i].view(np.int64)), pa.array((q - lo)[i].astype(np.int32)), _gather(b, lo[i], hi[i] + LENGTH)], names=["key", "before", "bytes"])
 
-    found: dict[int, set[bytes]] = {}
-    for r in rows.where(u < of_rows).mapInArrow(kernel, "key long, before int, bytes binary").collect():  # about ``want`` rows
-        found.setdefault(r.key & (1 << 64) - 1, set()).add((b"\xff" * (LEFT - r.before) + bytes(r.bytes)).ljust(LEFT + LENGTH, b"\xff"))
-    cuts = {k: _halved(sorted(c), 0, LEFT, crowd) for k, c in found.items() if len(c) > crowd}
-    return {k: c for k, c in cuts.items() if len(c) > 1}
+    drawn = rows.where(u < of_rows).mapInArrow(kernel, "key long, before int, bytes binary").toArrow()  # about ``want`` rows
+    cuts = _cuts(drawn, crowd)
+    del drawn
+    give_back()
+    return cuts
+
+
+def _cuts(drawn: pa.Table, crowd: int) -> dict[int, list]:
+    """Parts of each key of ``drawn (key, before, bytes)`` that more than ``crowd`` surroundings share.  Only rows
+    of such keys become Python objects, a key at a time."""
+    key = drawn.column(0).to_numpy()
+    order = np.argsort(key, kind="stable")
+    first = np.flatnonzero(np.diff(key[order], prepend=key[order[:1]] - 1)) if len(key) else order
+    cuts: dict[int, list] = {}
+    for lo, hi in zip(first.tolist(), [*first[1:].tolist(), len(key)]):
+        if hi - lo > crowd:
+            mine = drawn.take(order[lo:hi])
+            ctx = {(b"\xff" * (LEFT - before) + raw).ljust(LEFT + LENGTH, b"\xff") for before, raw in zip(mine.column(1).to_pylist(), mine.column(2).to_pylist())}
+            if len(ctx) > crowd and len(c := _halved(sorted(ctx), 0, LEFT, crowd)) > 1:
+                cuts[int(key[order[lo]]) & (1 << 64) - 1] = c
+    return cuts
 
 
 def spans(rows: DataFrame, crowd: int = CROWD) -> DataFrame:

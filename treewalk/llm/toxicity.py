@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bites
+from .common import bites, give_back
 from .sampling import labelled, remainder
 
 WINDOW, STRIDE, HIDDEN, INPUTS, BUCKETS, LEAST = 16, 8, 6, 5, 1 << 17, 2.0
@@ -172,7 +172,7 @@ def train(rows: list[tuple[str, int]], turns: int = 6, epochs: int = 4, rate: fl
     y = np.array([r[1] for r in rows], np.float32)
     if len(set(y.tolist())) < 2:
         return None
-    split = [words([t]) for t, _ in rows]
+    split = [[a.astype(np.int32) for a in words([t])] for t, _ in rows]
     net, r = Net(), np.random.default_rng(4)
     half = np.arange(len(rows)) % 2
     tables = [(_odds([s[0] for s, h in zip(split, half) if h != k], y[half != k]), _odds([s[1] for s, h in zip(split, half) if h != k], y[half != k])) for k in (0, 1)]
@@ -181,6 +181,7 @@ def train(rows: list[tuple[str, int]], turns: int = 6, epochs: int = 4, rate: fl
         net.word, net.char = tables[h]
         xs.append(net.inputs(*s[:4]))
     x = np.concatenate(xs)
+    xs.clear()
     start, owner = net.windows(x, pers)
     strength = np.array([x[s : s + WINDOW, 0].max() + x[s : s + WINDOW, 1].max() for s in start])
     moments = {k: [np.zeros_like(v), np.zeros_like(v)] for k, v in net.p.items()}
@@ -209,7 +210,9 @@ def train(rows: list[tuple[str, int]], turns: int = 6, epochs: int = 4, rate: fl
 
 def fit(docs: DataFrame, labels: DataFrame, per_class: int = 3000) -> Net | None:
     """Learn from at most about ``per_class`` labelled documents of each class."""
-    return train(labelled(docs, labels, "toxic", 5, per_class))
+    net = train(labelled(docs, labels, "toxic", 5, per_class))
+    give_back()
+    return net
 
 
 def score(docs: DataFrame, net: Net | None, threshold: float = 0.5) -> DataFrame:
