@@ -177,6 +177,46 @@ def test_simhash_wide_bucket(n):
         assert np.array_equal(want, got)
 
 
+def test_simhash_wide_pairs_meet():
+    """Every pair within the limit of 23 of 128 bits meets at an anchor, and is linked there."""
+    g = np.random.default_rng(3)
+    assert simhash.link_limit(0.8) == 23
+    for k in range(300):
+        bits = np.zeros(128, np.uint8)
+        bits[g.choice(128, 23, replace=False)] = 1
+        if not k:  # the worst case: evenly over the blocks
+            bits = np.zeros((8, 16), np.uint8)
+            bits[:, :3] = 1
+            bits[7, 2] = 0
+            bits = bits.reshape(-1)
+        x = g.integers(0, 1 << 63, 2, dtype=np.uint64)
+        f = np.stack([x, x ^ np.packbits(bits, bitorder="little").view(np.uint64)])
+        found = [simhash.wide_anchors(f, b) for b in range(8)]
+        key, row = (np.concatenate([p[c] for p in found]) for c in (0, 1))
+        order = np.argsort(key, kind="stable")
+        assert set(key[row == 0]) & set(key[row == 1])
+        assert len(simhash.link_runs(key[order], f[row[order]], 23)[0])
+
+
+def test_simhash_runs():
+    """Small and large runs at once, against all pairs of each run."""
+    g = np.random.default_rng(4)
+    key = np.sort(np.concatenate([g.integers(0, 60, 300), np.full(200, 7)]))
+    base = g.integers(0, 1 << 63, (4, 2), dtype=np.uint64)
+    f = base[g.integers(0, 4, len(key))] ^ (np.uint64(1) << g.integers(0, 63, (len(key), 2)).astype(np.uint64))
+    far = np.bitwise_count(f[:, None] ^ f[None]).sum(2)
+    a, b = np.nonzero((far <= 3) & (key[:, None] == key[None]))
+    want, got = np.arange(len(key)), np.arange(len(key))
+    for label, (x, y) in ((want, (a, b)), (got, simhash.link_runs(key, f, 3))):
+        for _ in key:
+            before = label.copy()
+            np.minimum.at(label, x, label[y])
+            np.minimum.at(label, y, label[x])
+            if np.array_equal(before, label):
+                break
+    assert np.array_equal(want, got)
+
+
 @pytest.mark.parametrize("n", [20, 200])
 def test_simhash_bucket(n):
     r = np.random.default_rng(n)

@@ -4,18 +4,16 @@ Two fingerprints at ``d`` or fewer differing bits are found without comparing al
 bits are cut into blocks with a threshold each.  For a block the words of a covering code are
 the anchors: each block value lies within the covering radius of one anchor at least, and every
 fingerprint is replicated to all anchors within radius plus threshold.  A pair that is within the
-block's threshold then meets at the anchor next to either of them.  The codes are the perfect
-one-error-correcting ones, of 31 and of 15 bits (radius 1, threshold 1).
+block's threshold then meets at the anchor next to either of them.  The code of
+``group`` is the perfect one-error-correcting one of 31 bits (radius 1, threshold 1).
 
 ``group``: 64 bits, links at two or fewer differing bits.  Thresholds that sum to ``d - blocks + 1``
 make a block of every such pair fit: 31 bits with threshold 1, and 33 bits with all values as
 anchors and threshold 0.  No link is lost.
 
-``representatives``: five-word shingles at a similarity of 0.8 or more, read from 128 bits.  Such
-pairs differ in a seventh of all bits, where no code of useful size covers all pairs; there are eight
-blocks of 15 bits with threshold 1, of which a pair at similarity 0.8 (0.85, 0.9) meets in one with
-a chance of 0.95 (0.99, 0.998); linked neighbours give it others.  Each anchor compares in full the
-fingerprints next to it with those replicated to it.
+``representatives``: five-word shingles at a similarity of 0.8 or more, read from 128 bits.  Such pairs differ in up
+to 23 bits, so in two at most of one of eight blocks of 16 bits: all values of a block are anchors, every fingerprint is
+replicated to those within one bit of it, and two fingerprints meet halfway.  No such pair is lost.
 
 Only distinct fingerprints are replicated.  Links come out of an anchor's bucket as a forest, never
 as all pairs.
@@ -36,7 +34,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bites, cut, fresh_name, numbered, parts
+from .common import bites, cut, fresh_name, give_back, numbered, parts
 from .components import classes, forest
 
 _LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
@@ -86,9 +84,9 @@ def fingerprints(docs: DataFrame, words: int = 3, seed: int = 42) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(kernel, "doc_id long, fp long")
 
 
-def _near_words(value: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def _near_words(value: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray]:
     """Words within distance 2 of each value in the perfect code of ``bits`` (2**k - 1) bits whose check
-    column of bit i is i + 1: the words, the row each comes from, and whether it is the nearest."""
+    column of bit i is i + 1: the words, and the row each comes from."""
     s = np.zeros(len(value), np.uint64)
     for i in range(bits):
         s ^= ((value >> np.uint64(i)) & np.uint64(1)) * np.uint64(i + 1)
@@ -100,13 +98,13 @@ def _near_words(value: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray, n
         ok = (s > 0) & (j > i)
         rows.append(np.flatnonzero(ok))
         words.append((value ^ np.uint64(1 << (i - 1)) ^ bit(j))[ok])
-    return np.concatenate(words), np.concatenate(rows), np.concatenate([np.ones(len(value), bool), *[np.zeros(len(r), bool) for r in rows[1:]]])
+    return np.concatenate(words), np.concatenate(rows)
 
 
 def anchors(fp: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Anchor of each replica, and the row it comes from.  Anchors of the two blocks are told
     apart by their top bit."""
-    words, rows, _ = _near_words(fp & np.uint64((1 << 31) - 1), 31)
+    words, rows = _near_words(fp & np.uint64((1 << 31) - 1), 31)
     return np.concatenate([words, (fp >> np.uint64(31)) | np.uint64(1 << 63)]), np.concatenate([rows, np.arange(len(fp))])
 
 
@@ -169,6 +167,23 @@ def _buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[list[np.ndarray]]:
         yield [np.concatenate(c) for c in list(zip(*held))[1:]]
 
 
+def _whole_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[list[np.ndarray]]:
+    """All columns, in pieces that end where the first one changes."""
+    held: list[list[np.ndarray]] = []
+    for b in batches:
+        if not b.num_rows:
+            continue
+        cols = [c.to_numpy(zero_copy_only=False) for c in b.columns]
+        last = int(np.searchsorted(cols[0], cols[0][-1], "left"))  # the run still open
+        if last or (held and held[-1][0][0] != cols[0][0]):
+            held.append([c[:last] for c in cols])
+            yield [np.concatenate(c) for c in zip(*held)]
+            held = []
+        held.append([c[last:] for c in cols])
+    if held:
+        yield [np.concatenate(c) for c in zip(*held)]
+
+
 def link_wide(f: np.ndarray, home: np.ndarray, limit: int) -> tuple[np.ndarray, np.ndarray]:
     """Forest of the links between rows of ``f`` (two words each) and those in ``home``.
 
@@ -199,6 +214,36 @@ def link_wide(f: np.ndarray, home: np.ndarray, limit: int) -> tuple[np.ndarray,
     return forest(n, np.concatenate(a), np.concatenate(b)) if a else (held[:0], held[:0])
 
 
+def wide_anchors(f: np.ndarray, block: int) -> tuple[np.ndarray, np.ndarray]:
+    """Anchor of each replica of rows of ``f`` (two words each) in one of eight blocks, and the row it comes from."""
+    value = (f[:, block // 4] >> np.uint64(16 * (block % 4))) & np.uint64(0xFFFF)
+    flips = np.concatenate([np.zeros(1, np.uint64), np.uint64(1) << np.arange(16, dtype=np.uint64)])
+    return (value[:, None] ^ flips).reshape(-1) | np.uint64(block << 16), np.repeat(np.arange(len(f)), 17)
+
+
+def link_runs(key: np.ndarray, f: np.ndarray, limit: int) -> tuple[np.ndarray, np.ndarray]:
+    """Forest of the links between rows with equal ``key`` (sorted): runs of up to ``_LOCAL`` rows all at once, by their
+    offsets, larger ones one by one."""
+    n = len(key)
+    edges = np.concatenate([[0], np.flatnonzero(key[1:] != key[:-1]) + 1, [n]])
+    size = np.diff(edges)
+    end = np.repeat(edges[1:], size)
+    at = np.flatnonzero(np.repeat(size, size) <= _LOCAL)
+    a, b = [at[:0]], [at[:0]]
+    for off in range(1, _LOCAL):
+        at = at[at + off < end[at]]
+        if not len(at):
+            break
+        hit = at[_popcount(f[at, 0] ^ f[at + off, 0]) + _popcount(f[at, 1] ^ f[at + off, 1]) <= limit]
+        a.append(hit)
+        b.append(hit + off)
+    for g in np.flatnonzero(size > _LOCAL).tolist():
+        child, parent = link_wide(f[edges[g] : edges[g + 1]], np.ones(size[g], bool), limit)
+        a.append(edges[g] + child)
+        b.append(edges[g] + parent)
+    return forest(n, np.concatenate(a), np.concatenate(b))
+
+
 def link_limit(similarity: float, bits: int = 128) -> int:
     """Differing bits that five of six pairs at a Jaccard similarity stay within: the expected
     share of their angle, and one standard deviation."""
@@ -209,6 +254,8 @@ def link_limit(similarity: float, bits: int = 128) -> int:
 def similar(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> DataFrame:
     """``(row, least)`` for ``docs (row, text)``: the least row of each one's class."""
     spark, limit = docs.sparkSession, link_limit(similarity)
+    if limit > 23:
+        raise ValueError("the blocks chosen here are for a threshold of 23 bits")
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece, texts in bites(batches, "text"):
@@ -220,19 +267,20 @@ def similar(docs: DataFrame, words: int = 5, similarity: float = 0.8) -> DataFra
             for lo in range(0, b.num_rows, 4096):
                 node, f0, f1 = (c.to_numpy(zero_copy_only=False) for c in b.slice(lo, 4096).columns)
                 for block in range(8):
-                    half = (f0, f1)[block // 4].view(np.uint64)
-                    word, at, home = _near_words((half >> np.uint64(16 * (block % 4))) & np.uint64(0x7FFF), 15)
-                    yield pa.RecordBatch.from_arrays([pa.array((word | np.uint64(block << 16)).view(np.int64)), pa.array(node[at]), pa.array(f0[at]), pa.array(f1[at]), pa.array(home)], names=["anchor", "node", "f0", "f1", "home"])
+                    word, at = wide_anchors(np.stack([f0, f1], 1).view(np.uint64), block)
+                    yield pa.RecordBatch.from_arrays([pa.array(word.view(np.int64)), pa.array(node[at]), pa.array(f0[at]), pa.array(f1[at])], names=["anchor", "node", "f0", "f1"])
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for node, f0, f1, home in _buckets(batches):
-            child, parent = link_wide(np.stack([f0, f1], 1).view(np.uint64), home.astype(bool), limit)
-            if len(child):
-                yield pa.RecordBatch.from_arrays([pa.array(node[child]), pa.array(node[parent])], names=["a", "b"])
+        for key, node, f0, f1 in _whole_runs(batches):
+            a, b = link_runs(key, np.stack([f0, f1], 1).view(np.uint64), limit)
+            if len(a):
+                links = np.unique(np.stack([node[a], node[b]], 1), axis=0)
+                yield pa.RecordBatch.from_arrays([pa.array(links[:, 0].copy()), pa.array(links[:, 1].copy())], names=["a", "b"])
+        give_back()
 
     fps = cut(docs.select("row", "text").mapInArrow(hashed, "row long, f0 long, f1 long"), "simhash-wide")
     distinct = fps.groupBy("f0", "f1").agg(F.min("row").alias("node"))
-    replicas = distinct.select("node", "f0", "f1").mapInArrow(spread, "anchor long, node long, f0 long, f1 long, home boolean")
+    replicas = distinct.select("node", "f0", "f1").mapInArrow(spread, "anchor long, node long, f0 long, f1 long")
     met = replicas.repartition(parts(spark), "anchor").sortWithinPartitions("anchor").mapInArrow(compare, "a long, b long")
     found = classes(cut(met.distinct(), "simhash-wide-links"))
     least = found.groupBy("root").agg(F.min("node").alias("least"))
